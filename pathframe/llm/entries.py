@@ -6,10 +6,30 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import licenses, private, quality, urls
+from . import counts, decontaminate, licenses, minhash, private, quality, store, transducer, urls
 from .common import table
 
 
+def op1_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash.find_near_copies(table(spark, sf_dir, "documents"))
+
+
+def op2_token_id_output(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return store.read_documents(spark, store.write_tokens(table(spark, sf_dir, "documents")))
+
+
+def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return counts.count_tokens(table(spark, sf_dir, "documents"))
+
+
+def op5_bpe_transducer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return transducer.encode_texts(table(spark, sf_dir, "documents"))
+
+
+def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.scan_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op6_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge_urls(table(spark, sf_dir, "pages"))
 
@@ -28,8 +48,14 @@ def op10_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return private.find_private(docs, private.fit(docs))
 
 
+_QUERIES = (
+    op1_minhash_near_dedup, op2_token_id_output, op4_token_counts, op5_bpe_transducer, op6_url_filters,
+    op7_license_scans, op8_quality_rules, op9_decontamination, op10_private_data,
+)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op6_url_filters, op7_license_scans, op8_quality_rules, op10_private_data)}
+    return {f.__name__: f for f in _QUERIES}
 
 
 def oracle_sql() -> dict[str, str]:
