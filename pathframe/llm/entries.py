@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import counts, decontaminate, licenses, minhash, private, quality, store, transducer, urls
+from . import counts, decontaminate, licenses, minhash, pages, private, quality, store, transducer, urls
 from .common import table
 
 
@@ -18,6 +18,10 @@ def op2_token_id_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return store.read_documents(spark, store.write_tokens(table(spark, sf_dir, "documents")))
 
 
+def op3_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pages.extract(table(spark, sf_dir, "pages"))
+
+
 def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts.count_tokens(table(spark, sf_dir, "documents"))
 
@@ -49,7 +53,7 @@ def op10_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _QUERIES = (
-    op1_minhash_near_dedup, op2_token_id_output, op4_token_counts, op5_bpe_transducer, op6_url_filters,
+    op1_minhash_near_dedup, op2_token_id_output, op3_html_extraction, op4_token_counts, op5_bpe_transducer, op6_url_filters,
     op7_license_scans, op8_quality_rules, op9_decontamination, op10_private_data,
 )
 
