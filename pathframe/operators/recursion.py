@@ -1,8 +1,8 @@
 """The recursive operator in five semantics, bounded walks of the k best, and baselines of the fixpoint itself.
 
 Every round joins the newest paths with the step relation on last = first and keeps what the mode allows. A round's
-rows are kept by Spark (recomputed if an executor goes) and counted once, to see whether anything is left; every
-LEVELS rounds they are checkpointed in the session's shared folder, which cuts the lineage.
+rows are checkpointed in the session's shared folder, which cuts the lineage and keeps plans as small in the last
+round as in the first, and counted, to see whether anything is left.
 """
 
 from __future__ import annotations
@@ -21,8 +21,8 @@ from .pathset import Facts, PathSet, least_per_pair
 MODES = ("walk", "trail", "acyclic", "simple", "shortest")
 #: What other path languages fix as their only semantics.
 PRESETS = {"arbitrary": "walk", "acyclic": "acyclic", "trail": "trail", "shortest": "shortest"}
-#: Rounds between checkpoints; rows that one round may keep before the recursion is refused.
-LEVELS, BUDGET = 5, 2_000_000_000
+#: Rows that one round may keep before the recursion is refused.
+BUDGET = 2_000_000_000
 
 
 class InfiniteWalkError(ValueError):
@@ -45,19 +45,16 @@ _held: list[DataFrame] = []
 
 
 def release() -> None:
-    """Let go of the rows that past recursions keep; results still in use are computed again when read."""
+    """Let go of the step relations that past recursions keep; results still in use are computed again when read."""
     while _held:
         _held.pop().unpersist()
 
 
 def _keep(df: DataFrame, level: int, log: Log) -> tuple[DataFrame, int]:
-    if level % LEVELS == 0:
-        sc = df.sparkSession.sparkContext
-        if not df.sparkSession.conf.get("spark.checkpoint.dir", None) and sc._jsc.sc().getCheckpointDir().isEmpty():
-            sc.setCheckpointDir(tempfile.mkdtemp(prefix="pathframe-"))
-        df = df.checkpoint(eager=False)
-    df = df.persist(StorageLevel.MEMORY_AND_DISK)
-    _held.append(df)
+    sc = df.sparkSession.sparkContext
+    if not df.sparkSession.conf.get("spark.checkpoint.dir", None) and sc._jsc.sc().getCheckpointDir().isEmpty():
+        sc.setCheckpointDir(tempfile.mkdtemp(prefix="pathframe-"))
+    df = df.checkpoint()
     n = df.count()
     log.rounds.append((level, n))
     if n > BUDGET:
@@ -284,7 +281,7 @@ def sql_recursion(spark, edges: DataFrame, mode: str, max_len: int) -> DataFrame
     lawful = {"walk": "true", "trail": "NOT array_contains(p.edges, e.edges[0])", "acyclic": "NOT array_contains(p.nodes, e.dst)"}[mode]
     base = "src <> dst" if mode == "acyclic" else "true"
     return spark.sql(f"""
-WITH RECURSIVE grown MAX RECURSION LEVEL {max_len + 1} (src, dst, len, nodes, edges, elabels) AS (
+WITH RECURSIVE grown(src, dst, len, nodes, edges, elabels) MAX RECURSION LEVEL {max_len + 1} AS (
   SELECT src, dst, 1, nodes, edges, elabels FROM {view} WHERE {base}
   UNION ALL
   SELECT p.src, e.dst, p.len + 1, array_append(p.nodes, e.dst), concat(p.edges, e.edges), concat(p.elabels, e.elabels)
