@@ -135,19 +135,22 @@ def dialogue(spark: SparkSession, folder: str) -> PropertyGraph:
 def texts(spark: SparkSession, folder: str) -> PropertyGraph:
     """Documents with language, source, copies (next document of the same text, found by hash) and benchmark passages.
 
-    Passages: items are cut to their first WORDS words and documents to windows of as many, joined by hash, and the
-    whole item is looked for only in documents that share such a window.
+    Passages: five words inside an item are joined by hash to a document's windows of five, ids alone, and the whole
+    item is looked for in the documents that share such a window. Items of fewer than seven words have no passages.
     """
     docs, labels, items = read(spark, folder, "documents"), read(spark, folder, "labels"), read(spark, folder, "benchmark")
     # copies by the hash alone, so no text is shuffled; equal texts are then known by a 256-bit digest
     hashed = docs.select("doc_id", F.sha2("text", 256).alias("h"))
     copies = hashed.withColumn("b", F.lead("doc_id").over(Window.partitionBy("h").orderBy("doc_id"))).filter("b IS NOT NULL")
     width = 5
-    item_heads = items.select("item_id", F.col("text").alias("item"), F.slice(F.split("text", "\\s+"), 1, width).alias("w")).filter(F.size("w") == width)
-    item_heads = item_heads.select("item_id", "item", F.xxhash64(F.array_join("w", " ")).alias("key"))
+    grams_of = lambda w, n: F.array_distinct(F.transform(F.sequence(F.lit(1), n), lambda i: F.xxhash64(F.array_join(F.slice(w, i, width), " "))))
     words = F.split("text", "\\s+")
-    grams = docs.select("doc_id", "text", words.alias("w")).select("doc_id", "text", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - width + 1, F.lit(1))), lambda i: F.xxhash64(F.array_join(F.slice("w", i, width), " "))))).alias("key"))
-    passages = grams.join(F.broadcast(item_heads), "key").filter(F.expr("instr(text, item) > 0")).select("doc_id", "item_id").distinct()
+    # words inside an item, so that its ends may lie inside words of a document
+    heads = items.withColumn("w", words).filter(F.size("w") >= width + 2).select("item_id", F.xxhash64(F.array_join(F.slice("w", 2, width), " ")).alias("key"))
+    grams = docs.withColumn("w", words).filter(F.size("w") >= width).select("doc_id", F.explode(grams_of(F.col("w"), F.size("w") - width + 1)).alias("key"))
+    likely = grams.join(heads, "key").select("doc_id", "item_id").distinct()
+    met = likely.join(docs.select("doc_id", "text"), "doc_id").join(items.select("item_id", F.col("text").alias("item")), "item_id")
+    passages = met.filter(F.expr("instr(text, item) > 0")).select("doc_id", "item_id").distinct()
     nodes = {
         "Document": docs.select("doc_id", "n_chars").join(labels, "doc_id", "left").select(_n("Document", "doc_id").alias("id"), "n_chars", F.col("quality").cast("bigint").alias("quality"), F.col("toxic").cast("bigint").alias("toxic")),
         "Language": docs.select(_named("Language", F.col("lang")).alias("id"), F.col("lang").alias("name")).distinct(),
