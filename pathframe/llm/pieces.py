@@ -7,8 +7,6 @@ rule with a regular expression instead.
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -45,31 +43,66 @@ def _plain(text: str) -> list[str]:
     return [head, *(" " + x for x in rest)]
 
 
-class Memo:
-    """What a function gives for each distinct chunk, kept between batches up to a bound in entries.
+#: Chunks that are at most a word, marks, a line break, a word and marks, each a pre-token whatever stands around it.
+#: Letters are those on which all tables of letters agree; marks leave out the apostrophe, which may begin a word.
+_PLAIN = r"^(?P<a>[ ]?[A-Za-z\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{ff}]+|)(?P<b>[ ]?[.,!?;:*#$%&|()\-]+|)(?P<c>\n|)(?P<d>[A-Za-z\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{ff}]+|)(?P<e>[.,!?;:*#$%&|()\-]+|)$"
 
-    missing(list of chunks) gives one bytes value each. Beyond the bound the memo is emptied, never the result.
-    """
 
-    def __init__(self, missing: Callable[[list[str]], list[bytes]], most: int = 300_000) -> None:
-        self.missing, self.most, self.known = missing, most, {}
+class PieceEncoder:
+    """Encodes pre-tokens, each distinct one once, in a memory of two generations: when the younger is full it becomes
+    the older, and what is met again moves over, so common pre-tokens stay and entries are bounded.
+
+    fresh(list of pre-tokens) gives one bytes value each; chunk(text) gives that of a chunk of any form.
+    """
 
-    def of(self, chunks: list[str]) -> list[bytes]:
+    #: Entries of a generation.
+    most = 200_000
+
+    def __init__(self) -> None:
+        self.known: dict[str, bytes] = {"": b""}
+        self.older: dict[str, bytes] = {}
+
+    def fresh(self, pieces: list[str]) -> list[bytes]:
+        raise NotImplementedError
+
+    def chunk(self, text: str) -> bytes:
+        raise NotImplementedError
+
+    def learn(self, pieces: set[str]) -> None:
+        """Have every one of pieces in known."""
+        if len(self.known) > self.most:
+            self.older, self.known = self.known, {"": b""}
+        known, older, new = self.known, self.older, []
+        for p in pieces:
+            if p not in known:
+                if (value := older.get(p)) is None:
+                    new.append(p)
+                else:
+                    known[p] = value
+        if new:
+            known.update(zip(new, self.fresh(new), strict=True))
+
+    def of(self, chunks: pa.Array) -> pa.Array:
+        """Values of distinct chunks: plain ones are cut, looked up and joined by column, others one by one."""
+        cut = pc.extract_regex(chunks, _PLAIN)
+        parts = [pc.struct_field(cut, k).fill_null("").dictionary_encode() for k in range(5)]
+        lists = [p.dictionary.to_pylist() for p in parts]
+        self.learn(set().union(*lists))
         known = self.known
-        if len(known) > self.most:
-            known.clear()
-        fresh = [c for c in chunks if c not in known]
-        if fresh:
-            known.update(zip(fresh, self.missing(fresh), strict=True))
-        return [known[c] for c in chunks]
+        columns = [pa.array([known[x] for x in names], pa.large_binary()).take(p.indices) for names, p in zip(lists, parts, strict=True)]
+        values = pc.binary_join_element_wise(*columns, pa.scalar(b"", pa.large_binary()))
+        odd = cut.is_null()
+        others = chunks.filter(odd).to_pylist()
+        if not others:
+            return values
+        return pc.replace_with_mask(values, odd, pa.array([self.chunk(c) for c in others], pa.large_binary()))
 
 
-def encoded(texts: pa.Array, memo: Memo) -> tuple[pa.Array, np.ndarray]:
+def encoded(texts: pa.Array, encoder: PieceEncoder) -> tuple[pa.Array, np.ndarray]:
     """Binary array with each chunk's value in text order, and where each text's chunks begin."""
     flat, starts = cut(texts)
     coded = flat.dictionary_encode()
-    values = pa.array(memo.of(coded.dictionary.to_pylist()), pa.large_binary())
-    return values.take(coded.indices), starts
+    return encoder.of(coded.dictionary).take(coded.indices), starts
 
 
 def joined(values: pa.Array, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

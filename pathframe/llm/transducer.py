@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from array import array
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -19,11 +20,11 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .common import chunks
-from .pieces import Memo, encoded, joined
+from .common import arrow_bounded, chunks
+from .pieces import PieceEncoder, encoded, joined
 
-#: Entries that a worker keeps: transitions of the automaton, and encodings of chunks.
-TRANSITIONS, MEMO = 400_000, 200_000
+#: Transitions of the automaton that a worker keeps.
+TRANSITIONS = 400_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -34,18 +35,23 @@ def read_ranks(path: str) -> dict[bytes, int]:
 class Transducer:
     def __init__(self, ranks: dict[bytes, int]) -> None:
         self.ranks, self.bytes_of = ranks, {r: b for b, r in ranks.items()}
-        self.children: list[dict[int, int]] = [{}]
-        self.token: list[int] = [-1]
+        # the trie's edges in one dict, by node * 256 + byte: most nodes have few
+        self.edges: dict[int, int] = {}
+        self.token = array("i", [-1])
+        self.inner = bytearray(1)
         for b, r in ranks.items():
             node = 0
             for x in b:
-                if (nxt := self.children[node].get(x)) is None:
-                    nxt = self.children[node][x] = len(self.children)
-                    self.children.append({})
+                if (nxt := self.edges.get(node << 8 | x)) is None:
+                    self.inner[node] = 1
+                    nxt = self.edges[node << 8 | x] = len(self.token)
                     self.token.append(-1)
+                    self.inner.append(0)
                 node = nxt
             self.token[node] = r
-        self.pairs: dict[tuple[int, int], bool] = {}
+        self.pairs: dict[int, bool] = {}
+        self.halves: dict[bytes, tuple[bytes, ...]] = {}
+        self.spines: tuple[dict, dict] = ({}, {})
         self.whole: dict[int, bool] = {}
         self.reset()
 
@@ -53,75 +59,137 @@ class Transducer:
         """Forget the determinised states; the start stays state 0."""
         self.states: list[tuple] = [((-1, 0, ()),)]
         self.ids = {self.states[0]: 0}
-        self.moves: list[dict[int, tuple[int, tuple[int, ...]]]] = [{}]
+        self.moves: dict[int, tuple[int, tuple[int, ...]]] = {}
         self.ends: list[tuple[int, ...] | None] = [()]
-        self.made = 0
 
-    def merged(self, piece: bytes) -> list[int]:
-        """Merges by rank, the definition that tests of neighbours use; pieces are a token or two long."""
+    def merged(self, piece: bytes, parts_left: int = 1) -> list[bytes]:
+        """Merges by rank, as the vocabulary defines them, until so many parts are left."""
         parts = [piece[i : i + 1] for i in range(len(piece))]
-        while len(parts) > 1:
+        while len(parts) > parts_left:
             best = min(((self.ranks[a + b], i) for i, (a, b) in enumerate(zip(parts, parts[1:])) if a + b in self.ranks), default=None)
             if best is None:
                 break
             i = best[1]
             parts[i : i + 2] = [parts[i] + parts[i + 1]]
-        return [self.ranks[p] for p in parts]
+        return parts
+
+    def _halves(self, token: bytes) -> tuple[bytes, ...]:
+        """The two parts whose merge ends a token's own encoding; itself if it is a byte; none if it is never made."""
+        if (parts := self.halves.get(token)) is None:
+            two = self.merged(token, 2)
+            parts = self.halves[token] = tuple(two) if len(two) <= 2 and b"".join(two) == token else ()
+        return parts
+
+    def _spine(self, token: int, side: int) -> list[tuple[bytes, float]]:
+        """What stands at one side (0: left end, 1: right end) of a token while it is made, with the rank of the merge
+        that takes it up."""
+        if (spine := self.spines[side].get(token)) is None:
+            part, until, spine = self.bytes_of[token], float("inf"), []
+            while True:
+                spine.append((part, until))
+                if len(part) == 1:
+                    break
+                until, part = self.ranks[part], self._halves(part)[-1 if side else 0]
+            self.spines[side][token] = spine
+        return spine
 
     def follows(self, a: int, b: int) -> bool:
-        """Whether tokens a, b (a = -1: none) stand side by side in some encoding."""
+        """Whether tokens a, b (a = -1: none) stand side by side in some encoding.
+
+        They don't just when, while both are made, what ends a and what begins b would merge before either is taken up
+        on its own side; of equal ranks, the merge further left goes first.
+        """
         if (ok := self.whole.get(b)) is None:
-            ok = self.whole[b] = self.merged(self.bytes_of[b]) == [b]
+            ok = self.whole[b] = bool(self._halves(self.bytes_of[b]))
         if a < 0 or not ok:
             return ok
-        if (ok := self.pairs.get((a, b))) is None:
-            if len(self.pairs) > 4 * TRANSITIONS:
+        if (ok := self.pairs.get(a << 32 | b)) is None:
+            if len(self.pairs) > TRANSITIONS:
                 self.pairs.clear()
-            ok = self.pairs[a, b] = self.merged(self.bytes_of[a] + self.bytes_of[b]) == [a, b]
+            rank, right = self.ranks.get, self._spine(b, 0)
+            ok = True
+            for x, x_until in self._spine(a, 1):
+                for y, y_until in right:
+                    if (m := rank(x + y)) is not None and m < x_until and m <= y_until:
+                        ok = False
+                        break
+                if not ok:
+                    break
+            self.pairs[a << 32 | b] = ok
         return ok
 
     def _move(self, state: int, byte: int) -> tuple[int, tuple[int, ...]]:
         reached = []
         for last, node, owed in self.states[state]:
-            if (nxt := self.children[node].get(byte)) is None:
+            if (nxt := self.edges.get(node << 8 | byte)) is None:
                 continue
-            if self.children[nxt]:
+            if self.inner[nxt]:
                 reached.append((last, nxt, owed))
             if (t := self.token[nxt]) >= 0 and self.follows(last, t):
                 reached.append((t, 0, (*owed, t)))
         common = reached[0][2] if reached else ()
         for _, _, owed in reached:
-            k = 0
-            while k < len(common) and k < len(owed) and owed[k] == common[k]:
-                k += 1
-            common = common[:k]
-        key = tuple(sorted((last, node, owed[len(common) :]) for last, node, owed in reached))
+            if owed[: len(common)] != common:
+                k = 0
+                while k < len(owed) and owed[k] == common[k]:
+                    k += 1
+                common = common[:k]
+            if not common:
+                break
+        if common:
+            cut = len(common)
+            reached = [(last, node, owed[cut:]) for last, node, owed in reached]
+        key = tuple(sorted(reached))
         if (i := self.ids.get(key)) is None:
             i = self.ids[key] = len(self.states)
             self.states.append(key)
-            self.moves.append({})
             self.ends.append(next((owed for _, node, owed in key if node == 0), None))
-        self.moves[state][byte] = (i, common)
-        self.made += 1
-        return i, common
+        step = self.moves[state << 8 | byte] = (i << 8, common)
+        return step
 
     def encode(self, piece: bytes) -> list[int]:
         """Tokens of one pre-token; a piece that is a token is that token, as the library has it."""
-        if piece in self.ranks:
-            return [self.ranks[piece]]
-        if self.made > TRANSITIONS:
+        return self.encode_sorted([piece])[0]
+
+    def encode_sorted(self, pieces: list[bytes]) -> list[list[int]]:
+        """Tokens of pieces in order; each starts in the state where it parts from the one before."""
+        if len(self.moves) > TRANSITIONS:
             self.reset()
-        out: list[int] = []
-        state, moves = 0, self.moves
-        for byte in piece:
-            step = moves[state].get(byte) or self._move(state, byte)
-            state = step[0]
-            if step[1]:
-                out.extend(step[1])
-        out.extend(self.ends[state] or ())
+        moves, ranks, out = self.moves, self.ranks, []
+        trail, sent = [0], [0]  # state, and tokens sent, after each byte of the last piece; states come shifted by 8
+        tokens: list[int] = []
+        for piece, same in zip(pieces, shared_starts(pieces), strict=True):
+            if piece in ranks:
+                out.append([ranks[piece]])
+                same = min(same, len(trail) - 1)
+                del trail[same + 1 :], sent[same + 1 :]
+                continue
+            same = min(same, len(trail) - 1)
+            del trail[same + 1 :], sent[same + 1 :]
+            del tokens[sent[same] :]
+            state = trail[same]
+            for byte in piece[same:]:
+                if (step := moves.get(state | byte)) is None:
+                    step = self._move(state >> 8, byte)
+                state, owed = step
+                if owed:
+                    tokens += owed
+                trail.append(state)
+                sent.append(len(tokens))
+            out.append(tokens + list(self.ends[state >> 8] or ()))
         return out
 
 
+def shared_starts(pieces: list[bytes]) -> list[int]:
+    """Leading bytes that each piece shares with the one before it, up to 32."""
+    if len(pieces) < 2:
+        return [0] * len(pieces)
+    cut = np.array(pieces, "S32").view(np.uint8).reshape(len(pieces), 32)
+    same = np.cumprod(cut[1:] == cut[:-1], axis=1, dtype=np.uint8).sum(axis=1, dtype=np.int64)
+    sizes = np.array([len(p) for p in pieces])
+    return [0, *np.minimum(same, np.minimum(sizes[1:], sizes[:-1])).tolist()]
+
+
 class Utf8Stream:
     """Incremental UTF-8: feed bytes cut anywhere, get text; only an unfinished character waits (3 bytes at most).
 
@@ -168,32 +236,33 @@ class Utf8Stream:
         return rest.decode("utf-8", "replace")
 
 
-class Codec:
-    """Encodes and decodes texts in batches: chunks through the transducer once each, ids back through a byte table."""
+class Codec(PieceEncoder):
+    """Encodes and decodes texts in batches: pre-tokens through the transducer once each, ids back by a byte table."""
 
     def __init__(self, ranks_file: str, pattern: str) -> None:
+        super().__init__()
         ranks = read_ranks(ranks_file)
         self.machine, self.pattern = Transducer(ranks), regex.compile(pattern)
         self.table = pa.array([self.machine.bytes_of.get(i, b"") for i in range(max(ranks.values()) + 1)], pa.large_binary())
-        self.memo = Memo(lambda fresh: [self._ids(c) for c in fresh], MEMO)
-        self.small: dict[str, list[int]] = {}
-
-    def _ids(self, chunk: str) -> bytes:
-        found: list[int] = []
-        for piece in self.pattern.findall(chunk):
-            if len(piece) < 6:
-                if (ids := self.small.get(piece)) is None:
-                    if len(self.small) > MEMO:
-                        self.small.clear()
-                    ids = self.small[piece] = self.machine.encode(piece.encode("utf-8"))
-                found += ids
-            else:
-                found += self.machine.encode(piece.encode("utf-8"))
-        return np.array(found, "<u4").tobytes()
+
+    def fresh(self, pieces: list[str]) -> list[bytes]:
+        order = sorted(range(len(pieces)), key=pieces.__getitem__)
+        values: list[bytes] = [b""] * len(pieces)
+        for a in range(0, len(order), 20_000):
+            some = order[a : a + 20_000]
+            for i, ids in zip(some, self.machine.encode_sorted([pieces[i].encode("utf-8") for i in some]), strict=True):
+                values[i] = array("I", ids).tobytes()
+        return values
+
+    def chunk(self, text: str) -> bytes:
+        found = self.pattern.findall(text)
+        if any(p not in self.known for p in found):
+            self.learn(set(found))
+        return b"".join([self.known[p] for p in found])
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids, and where each text's begin."""
-        values, starts = encoded(texts, self.memo)
+        values, starts = encoded(texts, self)
         flat, at = joined(values, starts)
         return flat[: at[-1]].view("<u4"), at // 4
 
@@ -249,4 +318,4 @@ def encode_texts(docs: DataFrame, vocabulary: str = "byte_bpe_50k.tiktoken", pat
 
     names = [*keep, "n_tokens", "ids_sha256", "decoded_sha256", *["ids"] * with_ids]
     kept = ", ".join(f"`{k}` {docs.schema[k].dataType.simpleString()}" for k in keep)
-    return docs.select(*keep, "text").mapInArrow(run, f"{kept}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids)
+    return arrow_bounded(docs.select(*keep, "text")).mapInArrow(run, f"{kept}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids)
