@@ -28,6 +28,16 @@ def ascii_lower(text: Column) -> Column:
     return F.translate(text, UPPER, LOWER)
 
 
+def arrow_bounded(df: DataFrame, most_bytes: int = 8 << 20) -> DataFrame:
+    """df as it is, with Arrow batches of its session bounded in bytes, not rows alone, so that long texts don't add up
+    (a setting that sessions may change at any time; one that is set already is left)."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    held = str(df.sparkSession.conf.get(key)).lower().rstrip("b")
+    if held.isdigit() and int(held) >= 2**26:  # the default
+        df.sparkSession.conf.set(key, str(most_bytes))
+    return df
+
+
 def chunks(batch: pa.RecordBatch, column: str, most_bytes: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """Slices of a batch whose text takes about most_bytes, one row at least, so memory follows the bytes of text."""
     sizes = pc.binary_length(batch.column(column)).fill_null(0).to_numpy(zero_copy_only=False)
@@ -39,6 +49,7 @@ def chunks(batch: pa.RecordBatch, column: str, most_bytes: int = 4 << 20) -> Ite
         total += int(n)
     if start < len(sizes):
         yield batch.slice(start)
+    pa.default_memory_pool().release_unused()  # a worker that waits for its next batch holds no spare memory
 
 
 def settle(df: DataFrame) -> DataFrame:

@@ -11,7 +11,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks
+from .common import arrow_bounded, chunks
 
 #: Pre-tokens whose counts a worker keeps between batches; beyond it the memo begins anew.
 MEMO = 400_000
@@ -76,5 +76,5 @@ def count_tokens(docs: DataFrame, vocabulary: str = "word_bpe_49k.json", limit:
                 size = pc.binary_length(part.column("text")).fill_null(0).cast(pa.int64())
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), size, pa.array(n)], ["doc_id", "n_bytes", "n_tokens"])
 
-    counted = docs.select("doc_id", "text").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_bytes long, n_tokens long")
+    counted = arrow_bounded(docs.select("doc_id", "text")).mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_bytes long, n_tokens long")
     return counted.withColumn("over_limit", F.col("n_tokens") > limit)

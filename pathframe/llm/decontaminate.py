@@ -11,7 +11,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks
+from .common import arrow_bounded, chunks
 
 #: Words of a window; bytes of item text that one automaton (and its broadcast) may hold.
 WINDOW, AUTOMATON_BYTES = 13, 32 << 20
@@ -124,7 +124,7 @@ def scan_documents(docs: DataFrame, benchmark: DataFrame, spans: bool = False) -
                         columns[4].append([{"start": at[a][0], "end": at[b - 1][1]} for a, b in runs] if at else [])
                     yield pa.RecordBatch.from_arrays([part.column("doc_id"), *[pa.array(c, f.type) for c, f in zip(columns, out, strict=True)]], ["doc_id", *out.names])
 
-        return docs.select("doc_id", "text").mapInArrow(run, schema)
+        return arrow_bounded(docs.select("doc_id", "text")).mapInArrow(run, schema)
 
     found = scanned(groups[0])
     if len(groups) > 1:
@@ -163,4 +163,4 @@ def clean_documents(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
                 keep.append(not (n > 0 and 20 * n >= len(words)))
             yield batch.filter(pa.array(keep, pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return arrow_bounded(docs).mapInArrow(run, docs.schema)

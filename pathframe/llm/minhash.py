@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, stored
+from .common import arrow_bounded, chunks, stored
 from .components import components
 
 #: Words of a shingle; link when 100 * shared >= LINK * united.
@@ -148,7 +148,7 @@ def sign(docs: DataFrame) -> DataFrame:
                 signature = pa.array([x.tobytes() for x in packed(low)], pa.binary())
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_key"), pa.array(sizes), pa.array(a), pa.array(b), bands, signature], ["doc_id", "text_key", "n_shingles", "set_a", "set_b", "bands", "signature"])
 
-    return _keyed(docs).mapInArrow(run, _SIGNED)
+    return arrow_bounded(_keyed(docs)).mapInArrow(run, _SIGNED)
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
@@ -218,7 +218,7 @@ def candidate_edges(reps: DataFrame) -> DataFrame:
 
     keyed = reps.select("doc_id", "signature", F.explode("bands").alias("key"))
     dealt = _spread(keyed, "key").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
-    return dealt.select("key", "i", "j", "doc_id", "signature").mapInArrow(run, "u long, v long")
+    return arrow_bounded(dealt.select("key", "i", "j", "doc_id", "signature")).mapInArrow(run, "u long, v long")
 
 
 def _forest(ids: np.ndarray, marks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -289,7 +289,7 @@ def confirmed_edges(members: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(us)), pa.array(np.concatenate(vs))], ["u", "v"])
 
     dealt = _spread(members, "root", "n_shingles").repartition("root", "i", "j").sortWithinPartitions("root", "i", "j")
-    return dealt.select("root", "i", "j", "doc_id", "text").mapInArrow(run, "u long, v long")
+    return arrow_bounded(dealt.select("root", "i", "j", "doc_id", "text")).mapInArrow(run, "u long, v long")
 
 
 def find_near_copies(docs: DataFrame) -> DataFrame:

@@ -23,8 +23,8 @@ from pyspark.sql import DataFrame
 from .common import arrow_bounded, chunks
 from .pieces import PieceEncoder, encoded, joined
 
-#: Transitions of the automaton that a worker keeps.
-TRANSITIONS = 400_000
+#: Transitions of the automaton, and tested neighbours, that a worker keeps.
+TRANSITIONS, PAIRS = 400_000, 100_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -104,7 +104,7 @@ class Transducer:
         if a < 0 or not ok:
             return ok
         if (ok := self.pairs.get(a << 32 | b)) is None:
-            if len(self.pairs) > TRANSITIONS:
+            if len(self.pairs) > PAIRS:
                 self.pairs.clear()
             rank, right = self.ranks.get, self._spine(b, 0)
             ok = True
