@@ -15,16 +15,17 @@ from pathlib import Path
 import numpy as np
 import public_tokenizers
 import pyarrow as pa
+import regex
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, shared_folder
-from .pieces import Memo, encoded, joined
+from .common import arrow_bounded, chunks, shared_folder
+from .pieces import PieceEncoder, encoded, joined
 
 MAGIC, BITS, BLOCK = b"PFDA", 8, 512
-#: Ids after which a writer closes a segment, at the end of a document; and chunks that its memo keeps.
-SEGMENT_IDS, MEMO = 2_000_000, 300_000
+#: Ids after which a writer closes a segment, at the end of a document.
+SEGMENT_IDS = 4_000_000
 _HEAD = struct.Struct("<4sBBHQQQ")  # magic, bits, levels, 0, ids before in the shard, ids, documents
 
 
@@ -104,18 +105,73 @@ class Segment:
         return self.slice(int(self.starts[k]), int(self.starts[k + 1]))
 
 
-_MEMOS: dict[str, Memo] = {}
+class LibraryEncoder(PieceEncoder):
+    """Ids as the tokenizers library gives them.
 
+    New pre-tokens are put together in long lines in which each is again a pre-token of its own; the library encodes a
+    line, and its word numbers part the ids. Chunks with special strings, or with characters on which tables of
+    letters may differ, are given to the library as they are; so is a line that it cuts otherwise than expected.
+    """
+
+    LINE = 4000
+    most = 300_000
 
-def _memo(vocabulary: str) -> Memo:
-    if vocabulary not in _MEMOS:
+    def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer
 
-        tokenizer = Tokenizer.from_file(public_tokenizers.path(vocabulary))
-        tokenizer.no_truncation()
-        tokenizer.no_padding()
-        _MEMOS[vocabulary] = Memo(lambda fresh: [np.array(e.ids, "<u4").tobytes() for e in tokenizer.encode_batch_fast(fresh, add_special_tokens=False)], MEMO)
-    return _MEMOS[vocabulary]
+        super().__init__()
+        self.tokenizer = Tokenizer.from_file(path)
+        self.tokenizer.no_truncation()
+        self.tokenizer.no_padding()
+        special = [regex.escape(t.content) for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.apart = regex.compile("|".join([*special, r"[^\x00-\x7f\u00a0-\u024f\u0400-\u045f\u2010-\u2027\u3041-\u3096\u30a1-\u30fa\u4e00-\u9fa5]"]))
+        self.cut = regex.compile(public_tokenizers.PATTERN)
+
+    def _alone(self, text: str) -> bytes:
+        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def _line(self, pieces: list[str], mark: str) -> list[bytes]:
+        """Pieces with a leading space (mark ""), or without white space at their start (mark a line break)."""
+        line = self.tokenizer.encode(mark + mark.join(pieces), add_special_tokens=False)
+        words = np.array(line.word_ids)
+        cuts = np.flatnonzero(words[1:] != words[:-1]) + 1
+        bounds = [0, *cuts.tolist(), len(words)]
+        step = 2 if mark else 1
+        if len(bounds) - 1 != step * len(pieces):
+            return [self._alone(p) for p in pieces]
+        ids = np.array(line.ids, "<u4").tobytes()
+        return [ids[4 * a : 4 * b] for a, b in zip(bounds[step - 1 :: step], bounds[step::step], strict=False)]
+
+    def fresh(self, pieces: list[str]) -> list[bytes]:
+        kinds: tuple[list[int], ...] = ([], [], [])
+        for i, p in enumerate(pieces):
+            kinds[0 if p[0] == " " and len(p) > 1 and not p[1].isspace() else 2 if p[0].isspace() else 1].append(i)
+        out = [b""] * len(pieces)
+        for kind, mark in ((kinds[0], ""), (kinds[1], "\n")):
+            for a in range(0, len(kind), self.LINE):
+                some = kind[a : a + self.LINE]
+                for i, value in zip(some, self._line([pieces[i] for i in some], mark), strict=True):
+                    out[i] = value
+        for i in kinds[2]:
+            out[i] = self._alone(pieces[i])
+        return out
+
+    def chunk(self, text: str) -> bytes:
+        if self.apart.search(text):
+            return self._alone(text)
+        found = self.cut.findall(text)
+        if any(p not in self.known for p in found):
+            self.learn(set(found))
+        return b"".join([self.known[p] for p in found])
+
+
+_ENCODERS: dict[str, LibraryEncoder] = {}
+
+
+def _encoder(vocabulary: str) -> LibraryEncoder:
+    if vocabulary not in _ENCODERS:
+        _ENCODERS[vocabulary] = LibraryEncoder(public_tokenizers.path(vocabulary))
+    return _ENCODERS[vocabulary]
 
 
 def write_tokens(docs: DataFrame, path: str | None = None, vocabulary: str = "byte_bpe_50k.json", end_id: int = 0, segment_ids: int = SEGMENT_IDS) -> str:
@@ -129,7 +185,7 @@ def write_tokens(docs: DataFrame, path: str | None = None, vocabulary: str = "by
     path = path or shared_folder(docs.sparkSession, "tokens")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo, shard, number, before = _memo(vocabulary), TaskContext.get().partitionId(), 0, 0
+        encoder, shard, number, before = _encoder(vocabulary), TaskContext.get().partitionId(), 0, 0
         ids, names, sizes, held = [], [], [], 0
 
         def close() -> pa.RecordBatch:
@@ -142,8 +198,8 @@ def write_tokens(docs: DataFrame, path: str | None = None, vocabulary: str = "by
             return row
 
         for batch in batches:
-            for part in chunks(batch, "text"):
-                values, starts = encoded(part.column("text"), memo)
+            for part in chunks(batch, "text", min(8 << 20, 2 * segment_ids)):
+                values, starts = encoded(part.column("text"), encoder)
                 flat, at = joined(values, starts)
                 at = at // 4
                 ids.append(np.insert(flat[: 4 * at[-1]].view("<u4"), at[1:], np.uint32(end_id)))
@@ -158,7 +214,7 @@ def write_tokens(docs: DataFrame, path: str | None = None, vocabulary: str = "by
     out = pa.schema([("shard", pa.int64()), ("segment", pa.int64()), ("first_doc", pa.int64()), ("n_ids", pa.int64()), ("payload", pa.binary())])
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     dealt = own.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
-    dealt.mapInArrow(run, "shard long, segment long, first_doc long, n_ids long, payload binary").write.parquet(path)
+    arrow_bounded(dealt).mapInArrow(run, "shard long, segment long, first_doc long, n_ids long, payload binary").write.parquet(path)
     return path
 
 
@@ -183,7 +239,7 @@ def read_documents(spark, path: str) -> DataFrame:
                 doc_ids = pa.array(part.doc_ids, mask=part.doc_ids == -(2**63))
                 yield pa.RecordBatch.from_arrays([doc_ids, pa.array(starts[:-1] + part.before + offsets[shard]), pa.array(np.diff(starts)), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return files.select("shard", "payload").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return arrow_bounded(files.select("shard", "payload")).mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def export_files(spark, path: str, folder: str) -> int:
