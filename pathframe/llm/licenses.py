@@ -26,8 +26,8 @@ TEMPLATES = (
     ("cc-by", "this work is licensed under a creative commons attribution 4 0 international license"),
     ("mpl", "this source code form is subject to the terms of the mozilla public license v 2 0"),
 )
-#: Share of a template's words that a block must hold.
-CONTAINMENT = 0.8
+#: Share of a template's words that a block must hold: all of a short notice, as such notices differ in a word or two.
+CONTAINMENT = 0.9
 _IN = "0-9A-Za-z\\x{80}-\\x{10FFFF}"
 
 
