@@ -86,7 +86,7 @@ def recurse(paths: PathSet, mode: str = "walk", *, seed=None, direction: str = "
         return recurse(paths.reversed(), mode, seed=seed, max_len=max_len, keep=keep, strategy=strategy, log=log).reversed()
     base = paths.distinct()
     zero = _seeded(base.df.filter("len = 0"), seed) if base.facts.least == 0 else None
-    steps = replace(base, df=base.df.filter("len > 0") if zero is not None else base.df, facts=replace(base.facts, least=max(1, base.facts.least)))
+    steps = replace(base, df=_kept(base.df.filter("len > 0") if zero is not None else base.df), facts=replace(base.facts, least=max(1, base.facts.least)))
     if keep is not None:
         if mode != "walk":
             raise ValueError("the k best are kept of walks only; restricted walks aren't closed under it")
@@ -102,11 +102,15 @@ def recurse(paths: PathSet, mode: str = "walk", *, seed=None, direction: str = "
     return PathSet(zero, paths.graph, Facts(0, 0, True)).union(out)
 
 
+def _kept(df: DataFrame) -> DataFrame:
+    """A relation that every round reads, kept in memory and on disk until release(); a lost part is computed again."""
+    df = df.persist(StorageLevel.MEMORY_AND_DISK)
+    _held.append(df)
+    return df
+
+
 def _step_side(steps: PathSet, mode: str) -> DataFrame:
-    lawful = steps.df if mode in ("walk", "shortest") else steps.df.filter(P.LAWFUL[mode]())
-    lawful = lawful.persist(StorageLevel.MEMORY_AND_DISK)
-    _held.append(lawful)
-    return lawful
+    return steps.df if mode == "walk" else _kept(steps.df if mode == "shortest" else steps.df.filter(P.LAWFUL[mode]()))
 
 
 def _facts(steps: PathSet, max_len: int | None) -> Facts:
@@ -174,8 +178,7 @@ def _naive(steps: PathSet, mode: str, seed, max_len: int | None, log: Log) -> Pa
 def refuse_cycles(steps: PathSet, seed=None, rounds: int = 100_000) -> None:
     """Raise unless the ends of the steps, as far as the seed reaches, form no cycle: ends without a way on are taken
     away again and again, and a rest that stays holds a cycle."""
-    ends = steps.endpoints().persist(StorageLevel.MEMORY_AND_DISK)
-    _held.append(ends)
+    ends = _kept(steps.endpoints())
     if seed is not None:
         reach = closure(ends, seed).select(F.col("dst").alias("__on")).distinct()
         firsts = _seeded(ends, seed)
@@ -195,7 +198,7 @@ def refuse_cycles(steps: PathSet, seed=None, rounds: int = 100_000) -> None:
 def closure(ends: DataFrame, seed=None, log: Log | None = None) -> DataFrame:
     """Pairs (src, dst) joined by one or more steps: the classic answer without witness paths."""
     log = log if log is not None else Log()
-    step = ends.select("src", "dst").distinct()
+    step = _kept(ends.select("src", "dst").distinct())
     delta, n = _keep(_seeded(step, seed), 1, log)
     found, level = delta, 1
     while n:
@@ -210,7 +213,7 @@ def distances(steps: PathSet, seed=None, max_len: int | None = None, log: Log |
     """src, dst, d: least length for every pair, by relaxing pairs that got better until none does. Steps may have
     several lengths, so a pair may get better more than once."""
     log = log if log is not None else Log()
-    reach = steps.df.groupBy("src", "dst").agg(F.min("len").alias("d"))
+    reach = _kept(steps.df.groupBy("src", "dst").agg(F.min("len").alias("d")))
     known, n = _keep(_seeded(reach, seed), 1, log)
     delta, level = known, 1
     while n:
@@ -255,8 +258,7 @@ def _k_best(steps: PathSet, seed, keep: tuple[str, int], max_len: int | None, lo
     by = Window.partitionBy("src", "dst")
     rank = F.row_number().over(by.orderBy(*P.TIE)) if how == "k_shortest" else F.dense_rank().over(by.orderBy("len"))
     cut = lambda df: df.withColumn("__r", rank).filter(F.col("__r") <= k).drop("__r")
-    step = steps.df.persist(StorageLevel.MEMORY_AND_DISK)
-    _held.append(step)
+    step = steps.df
     start = _seeded(step, seed)
     found, n = _keep(cut(start).withColumn("__new", F.lit(True)), 1, log)
     level = 1
