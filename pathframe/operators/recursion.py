@@ -55,6 +55,9 @@ def _keep(df: DataFrame, level: int, log: Log) -> tuple[DataFrame, int]:
     if not df.sparkSession.conf.get("spark.checkpoint.dir", None) and sc._jsc.sc().getCheckpointDir().isEmpty():
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="pathframe-"))
     df = df.checkpoint()
+    # new column identities: a checkpoint keeps those of its plan with what the plan knew of them (such as a seed's
+    # filter), and a join with the step relation, which has the same ones, would apply that to both sides
+    df = df.select(*[F.col(c).alias(c) for c in df.columns])
     n = df.count()
     log.rounds.append((level, n))
     if n > BUDGET:

@@ -44,3 +44,15 @@ def test_random_graphs(spark, seed):
     assert short <= k2
     one, two, three, four = (rows(graph.edges().recurse(x, max_len=3)) for x in ("acyclic", "simple", "trail", "walk"))
     assert one <= two <= three <= four
+
+
+def test_seeds_as_lists_and_tables(spark):
+    graph = catalog.sample(spark)
+    known = recursion(KNOWS, "trail")
+    for seed in ([2], [1, 3]):
+        want = {p for p in known if p[0][0] in seed}
+        table = spark.createDataFrame([(x,) for x in seed], "id bigint")
+        assert rows(graph.edges(["KNOWS"]).recurse("trail", seed=seed)) == want
+        assert rows(graph.edges(["KNOWS"]).recurse("trail", seed=table)) == want
+        ends = {p for p in known if p[0][-1] in seed}
+        assert rows(graph.edges(["KNOWS"]).recurse("trail", seed=seed, direction="backward")) == ends
