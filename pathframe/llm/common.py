@@ -57,7 +57,9 @@ def settle(df: DataFrame) -> DataFrame:
     sc = df.sparkSession.sparkContext
     if not df.sparkSession.conf.get("spark.checkpoint.dir", None) and sc._jsc.sc().getCheckpointDir().isEmpty():
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
-    return df.checkpoint()
+    df = df.checkpoint()
+    # new column identities, so that a join with what df came from doesn't take over what its plan knew of them
+    return df.select(*[F.col(c).alias(c) for c in df.columns])
 
 
 def shared_folder(spark: SparkSession, name: str) -> str:
