@@ -167,6 +167,25 @@ def texts(spark: SparkSession, folder: str) -> PropertyGraph:
     return _graph(nodes, edges)
 
 
+def copy_groups(spark: SparkSession, folder: str) -> DataFrame:
+    """src, representative, copies, links, quality, not_bad_after: one row for each document that has copies.
+
+    representative is the group's first document and links the number of COPY_OF steps from it, so documents of one
+    representative are joined by a chain of as many steps as their links differ by; not_bad_after counts the later ones
+    that no label calls bad. All pairs of a group follow from its rows, which grow as its documents do.
+    """
+    docs, labels = read(spark, folder, "documents"), read(spark, folder, "labels")
+    rows = docs.select("doc_id", F.sha2("text", 256).alias("h")).filter("h IS NOT NULL").join(labels.select("doc_id", F.col("quality").cast("bigint").alias("quality")), "doc_id", "left")
+    group = Window.partitionBy("h")
+    upto = group.orderBy("doc_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    not_bad = F.when(F.col("quality").eqNullSafe(F.lit(0)), 0).otherwise(1)
+    out = rows.select(
+        _n("Document", "doc_id").alias("src"), _n("Document", F.min("doc_id").over(group)).alias("representative"), F.count(F.lit(1)).over(group).alias("copies"), (F.count(F.lit(1)).over(upto) - 1).alias("links"), "quality",
+        (F.sum(not_bad).over(group) - F.sum(not_bad).over(upto)).alias("not_bad_after"),
+    )
+    return out.filter("copies > 1")
+
+
 def web(spark: SparkSession, folder: str) -> PropertyGraph:
     """Pages to the slugs that they link to and the hosts that they are on; vectors to their classes."""
     pages, vectors = read(spark, folder, "pages"), read(spark, folder, "embeddings")

@@ -37,3 +37,24 @@ def test_shortest_relays_of_all_pairs(spark, tmp_path):
         assert {(r["src"], r["dst"]): r["len"] for r in rows} == want, q
         assert len({r["edges_txt"] for r in rows}) == len(rows) and all(len(r["edges_txt"].split("-")) == r["len"] for r in rows)
     assert len(got["any_shortest_walk_relay"]) == len(known)
+
+
+def text_tables(spark, folder, texts, items=(), labels=()):
+    spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long").coalesce(1).write.parquet(f"{folder}/documents.parquet")
+    spark.createDataFrame(list(labels), "doc_id long, quality int, toxic int").coalesce(1).write.parquet(f"{folder}/labels.parquet")
+    spark.createDataFrame(list(enumerate(items)), "item_id long, text string").coalesce(1).write.parquet(f"{folder}/benchmark.parquet")
+
+
+def test_copies_of_large_groups(spark, tmp_path):
+    texts = ["same", "other", "same", "same", "same", "one", "same", "same", "other"]
+    labels = [(0, 1, 0), (2, 0, 0), (7, 1, 0), (6, 0, 0)]
+    text_tables(spark, tmp_path, texts, labels=labels)
+    bit, quality = 10 << 48, {d: q for d, q, _ in labels}
+    pairs = {(a, b) for a in range(9) for b in range(a + 1, 9) if texts[a] == texts[b]}
+    ends = lambda q: {(r["src"] - bit, r["dst"] - bit) for r in catalogue.queries()[q](spark, str(tmp_path)).collect()}
+    assert ends("copy_chain_unbounded") == pairs
+    good = {(a, b) for a, b in pairs if quality.get(a) == 1 and quality.get(b) != 0}
+    assert ends("copy_chain_quality_unbounded") == good and (0, 7) in good
+    rows = catalogue.queries()["copy_groups"](spark, str(tmp_path)).collect()
+    assert {(a["src"] - bit, b["src"] - bit) for a in rows for b in rows if a["representative"] == b["representative"] and a["links"] < b["links"]} == pairs
+    assert {r["src"] - bit: r["not_bad_after"] for r in rows} == {d: sum(a == d and quality.get(b) != 0 for a, b in pairs) for d in {x for p in pairs for x in p}}
