@@ -3,8 +3,13 @@ texts and web pages. A folder holds one Parquet file or folder for each table.""
 
 from __future__ import annotations
 
+import uuid
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 
 from .graph import PropertyGraph, paired, tagged
 
@@ -132,11 +137,65 @@ def dialogue(spark: SparkSession, folder: str) -> PropertyGraph:
     return _graph({"Turn": turns.select(_n("Turn", "key").alias("id"), "role", "text", "turn")}, {"REPLIED_BY": edges})
 
 
+#: Bytes of item text that one automaton (and its broadcast) may hold.
+AUTOMATON_BYTES = 32 << 20
+_AUTOMATA: dict[str, tuple] = {}
+
+
+def _automaton(key: str, items: list[tuple]) -> tuple:
+    """(automaton or None, ids of empty items) of a group, built once in a worker; the group before is let go."""
+    import ahocorasick
+
+    if key not in _AUTOMATA:
+        _AUTOMATA.clear()
+        held: dict[str, list] = {}
+        for i, text in items:
+            held.setdefault(text, []).append(i)
+        empty = held.pop("", [])
+        own = ahocorasick.Automaton()
+        for text, ids in held.items():
+            own.add_word(text, ids)
+        own.make_automaton()
+        _AUTOMATA[key] = (own if held else None, empty)
+    return _AUTOMATA[key]
+
+
+def short_passages(docs: DataFrame, items: DataFrame) -> DataFrame:
+    """doc_id, item_id of every document whose text contains the item's text as it stands, by a substring automaton over
+    the items; an empty item is in every text. Items beyond AUTOMATON_BYTES go in groups, one scan each."""
+    size, n = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)), F.count(F.lit(1))).first()
+    groups = max(1, -(-size // AUTOMATON_BYTES), -(-n // 1_000_000))
+    kinds = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, item_id {items.schema['item_id'].dataType.simpleString()}"
+    out = docs.sparkSession.createDataFrame([], kinds)
+    for g in range(groups if n else 0):
+        group = [tuple(r) for r in items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(groups)) == g).select("item_id", "text").collect()]
+        shared, key = docs.sparkSession.sparkContext.broadcast(group), uuid.uuid4().hex
+
+        def run(batches: Iterator[pa.RecordBatch], shared=shared, key=key) -> Iterator[pa.RecordBatch]:
+            own, empty = _automaton(key, shared.value)
+            for batch in batches:
+                for row in range(batch.num_rows):  # a text at a time: memory follows one text's items
+                    text = batch.column("text")[row].as_py()
+                    if text is None:
+                        continue
+                    found = set(empty)
+                    for _, ids in own.iter(text) if own is not None else ():
+                        found.update(ids)
+                    if found:
+                        doc = batch.column("doc_id").slice(row, 1).take(pa.array([0] * len(found)))
+                        yield pa.RecordBatch.from_arrays([doc, pa.array(list(found), types["item_id"])], ["doc_id", "item_id"])
+
+        types = {"item_id": to_arrow_type(items.schema["item_id"].dataType)}
+        out = out.unionByName(docs.select("doc_id", "text").mapInArrow(run, kinds))
+    return out
+
+
 def texts(spark: SparkSession, folder: str) -> PropertyGraph:
     """Documents with language, source, copies (next document of the same text, found by hash) and benchmark passages.
 
     Passages: five words inside an item are joined by hash to a document's windows of five, ids alone, and the whole
-    item is looked for in the documents that share such a window. Items of fewer than seven words have no passages.
+    item is looked for in the documents that share such a window. Items of fewer than seven words, which need not hold
+    five whole words of a document, are looked for in every text by one automaton (short_passages).
     """
     docs, labels, items = read(spark, folder, "documents"), read(spark, folder, "labels"), read(spark, folder, "benchmark")
     # copies by the hash alone, so no text is shuffled; equal texts are then known by a 256-bit digest
@@ -150,7 +209,9 @@ def texts(spark: SparkSession, folder: str) -> PropertyGraph:
     grams = docs.withColumn("w", words).filter(F.size("w") >= width).select("doc_id", F.explode(grams_of(F.col("w"), F.size("w") - width + 1)).alias("key"))
     likely = grams.join(heads, "key").select("doc_id", "item_id").distinct()
     met = likely.join(docs.select("doc_id", "text"), "doc_id").join(items.select("item_id", F.col("text").alias("item")), "item_id")
-    passages = met.filter(F.expr("instr(text, item) > 0")).select("doc_id", "item_id").distinct()
+    passages = met.filter(F.expr("instr(text, item) > 0")).select("doc_id", "item_id")
+    short = items.filter((F.size(words) < width + 2) & F.col("text").isNotNull())
+    passages = passages.unionByName(short_passages(docs, short)).distinct()
     nodes = {
         "Document": docs.select("doc_id", "n_chars").join(labels, "doc_id", "left").select(_n("Document", "doc_id").alias("id"), "n_chars", F.col("quality").cast("bigint").alias("quality"), F.col("toxic").cast("bigint").alias("toxic")),
         "Language": docs.select(_named("Language", F.col("lang")).alias("id"), F.col("lang").alias("name")).distinct(),

@@ -58,3 +58,15 @@ def test_copies_of_large_groups(spark, tmp_path):
     rows = catalogue.queries()["copy_groups"](spark, str(tmp_path)).collect()
     assert {(a["src"] - bit, b["src"] - bit) for a in rows for b in rows if a["representative"] == b["representative"] and a["links"] < b["links"]} == pairs
     assert {r["src"] - bit: r["not_bad_after"] for r in rows} == {d: sum(a == d and quality.get(b) != 0 for a, b in pairs) for d in {x for p in pairs for x in p}}
+
+
+def test_passages_of_short_items(spark, tmp_path, monkeypatch):
+    long = "one two three four five six seven eight"
+    items = ["ab", "two words", "cat", "a\nb  c", "", "é😀", "w1 w2 w3 w4 w5 w6", "two words", long, "never there"]
+    texts = ["concatenate", "x two words.", "xtwo wordsx a\nb  c", "", None, "z é😀 z", "0w1 w2 w3 w4 w5 w67", f"zero{long}!", "ab cat ab"]
+    text_tables(spark, tmp_path, texts, items)
+    want = {(d, i) for d, t in enumerate(texts) for i, x in enumerate(items) if t is not None and x in t}
+    for most in (1 << 25, 8):  # one automaton, and several
+        monkeypatch.setattr(catalog, "AUTOMATON_BYTES", most)
+        rows = catalogue.queries()["doc_passage_quality"](spark, str(tmp_path)).collect()
+        assert {(r["src"] - (10 << 48), r["dst"] - (13 << 48)) for r in rows} == want and len(rows) == len(want)
