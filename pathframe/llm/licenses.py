@@ -50,12 +50,30 @@ def phrase_places(text: Column, n_words: Column, phrase: str) -> Column:
     return F.when(text.rlike(pattern), found).otherwise(none)
 
 
-def blocks_with_words(docs: DataFrame, vocabulary: list[str], least: int, separator: str = "\n") -> DataFrame:
-    """doc_id, text_key, words: distinct template words of each block that has at least `least` of them."""
+def guards(sets: list[list[str]], need: list[int]) -> list[str]:
+    """Words of which any block that reaches its need holds one at least: the longest of each template, one more than it may lack."""
+    return sorted({w for ws, n in zip(sets, need, strict=True) for w in sorted(ws, key=lambda w: (-len(w), w))[: len(ws) - n + 1]})
+
+
+def blocks_with_words(docs: DataFrame, vocabulary: list[str], least: int, onward: int, guard: list[str]) -> DataFrame:
+    """doc_id, text_key, words: distinct template words of each block that has at least `least` of them.
+
+    A block is a line with the next `onward` words of its paragraph, however they are broken into lines, so a notice
+    that begins in a line is whole in that line's block. A paragraph ends at a line without words, such as a bare
+    comment mark. Texts without a guard word have no block that could match.
+    """
     known = F.array(*[F.lit(w) for w in vocabulary])
-    blocks = F.transform(F.split(ascii_lower(F.col("text")), separator), lambda b: F.array_intersect(F.split(b, "[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+"), known))
+    text = ascii_lower(F.col("text"))
+    lines = F.transform(F.split(text, "\n"), lambda b: F.filter(F.split(b, "[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+"), lambda w: w != ""))
+
+    def follow(all_lines: Column, i: Column) -> Column:
+        """Words after line i in its paragraph: each of its lines has one at least, so `onward` lines are enough."""
+        return let(F.slice(all_lines, i + 2, onward), lambda ahead: let(F.array_position(F.transform(ahead, F.size), F.lit(0)), lambda stop: F.slice(F.flatten(F.when(stop > 0, F.slice(ahead, 1, (stop - 1).cast("int"))).otherwise(ahead)), 1, onward)))
+
+    blocks = let(lines, lambda all_lines: F.transform(all_lines, lambda own, i: F.when(F.size(own) > 0, F.array_intersect(F.concat(own, follow(all_lines, i)), known)).otherwise(F.array().cast("array<string>"))))
     kept = F.array_distinct(F.transform(F.filter(blocks, lambda w: F.size(w) >= least), lambda w: F.array_sort(w)))
-    return docs.select("doc_id", F.xxhash64("text").alias("text_key"), F.explode(kept).alias("words"))
+    likely = docs.filter(text.rlike("|".join(guard)))
+    return likely.select("doc_id", F.xxhash64("text").alias("text_key"), F.explode(kept).alias("words"))
 
 
 def template_matches(docs: DataFrame, templates=TEMPLATES, threshold: float = CONTAINMENT) -> DataFrame:
@@ -70,7 +88,8 @@ def template_matches(docs: DataFrame, templates=TEMPLATES, threshold: float = CO
     vocabulary = sorted({w for _, _, ws in sets for w in ws})
     # ceil in integers of thousandths, so that a share such as 0.8 is exact
     need = {i: -(-round(threshold * 1000) * len(ws) // 1000) for i, _, ws in sets}
-    blocks = blocks_with_words(docs, vocabulary, min(need.values()))
+    onward = 2 * max((len(text.split()) for _, text in templates), default=0)  # room for words put into a notice
+    blocks = blocks_with_words(docs, vocabulary, min(need.values()), onward, guards([ws for _, _, ws in sets], list(need.values())))
     counted = dict(blocks.select(F.explode("words").alias("word")).groupBy("word").count().collect())  # at most len(vocabulary) rows
     order = {w: r for r, w in enumerate(sorted(vocabulary, key=lambda w: (counted.get(w, 0), w)))}
     heads, bodies = [], []
@@ -95,7 +114,7 @@ def scan_licenses(docs: DataFrame, phrases: Mapping[str, str] = PHRASES, templat
 
     score is 1 with a stated phrase, else the largest containment that reaches the threshold, else 0. Null texts count
     as empty: no words, no labels (empty strings), score 0. Repeated rows stay; a null doc_id is kept; blocks are the
-    lines of a text; other columns of docs are ignored.
+    lines of a text, each with the words that follow in its paragraph; other columns of docs are ignored.
     """
     own = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     places = own.select("doc_id", "text", word_count(F.col("text")).alias("n_words"))
