@@ -1,7 +1,8 @@
 """Main text of web pages: leaf blocks, each labelled by a bidirectional LSTM that reads the whole page's sequence.
 
 The page is cut into blocks at block-level tags. A block is described by hashed embeddings of its tag path (tags with
-their class, id and role words) and of its first words, and by a few measures. A forward and a backward LSTM read the
+their class, id and role words) and of its first words, by the sum of those of all its words and pairs of
+neighbouring words, and by a few measures. A forward and a backward LSTM read the
 blocks of the page, and every block is labelled content or not from both. Weights are learned here, in numpy, from
 pages that a generator lays out with known labels (a stated number of them and a stated seed); no page of the corpus
 is needed for it, and its words carry no meaning.
@@ -32,7 +33,10 @@ _NAMES = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>
 _WORD = re.compile(r"[^\W\d_]+")
 _INLINE_SPACE = frozenset({"br", "wbr", "img", "input"})
 
-SLOTS, WIDTH, HIDDEN = 2048, 16, 16
+#: Places of paths and first words, and of words wherever they stand; numbers of each; numbers of a state.
+SLOTS, WORDS, WIDTH, HIDDEN = 2048, 16384, 16, 16
+#: Words that a worker remembers the places of, and words whose vectors are summed at once.
+REMEMBERED, SUMMED = 200_000, 1 << 18
 #: Generated pages to learn from, passes over them, seed.
 PAGES, PASSES, SEED = 500, 6, 11
 
@@ -122,12 +126,28 @@ def _slots(path: tuple[str, ...]) -> tuple[int, ...]:
     return tuple(zlib.crc32(w.encode()) % (SLOTS // 2) for w in words)
 
 
-def features(blocks: list[tuple[tuple[str, ...], str, int]]) -> tuple[list[np.ndarray], np.ndarray]:
-    """Slots of each block's path and first words, and its measures."""
+class _WordSlots(dict):
+    """word: its place among all words; forgets everything when full."""
+
+    def __missing__(self, word: str) -> int:
+        if len(self) >= REMEMBERED:
+            self.clear()
+        self[word] = at = SLOTS + 1 + zlib.crc32(word.encode()) % (WORDS - 1)
+        return at
+
+
+_word_slots = _WordSlots()
+
+
+def features(blocks: list[tuple[tuple[str, ...], str, int]]) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]:
+    """Slots of each block's path and first words, and those of all its words and pairs; its measures."""
     slots, dense = [], np.zeros((len(blocks), 6), np.float32)
     for k, (path, text, link) in enumerate(blocks):
-        head = [SLOTS // 2 + zlib.crc32(w.lower().encode()) % (SLOTS // 2) for w in _WORD.findall(text[:60])[:4]]
-        slots.append(np.array([*_slots(path), *head], np.int64))
+        words = _WORD.findall(text.lower())
+        head = [SLOTS // 2 + zlib.crc32(w.encode()) % (SLOTS // 2) for w in words[:4]]
+        # place SLOTS stands in every block, so that none is empty; pairs of neighbours tell a cue from its single words
+        every = [SLOTS, *map(_word_slots.__getitem__, words), *map(_word_slots.__getitem__, map(" ".join, zip(words, words[1:])))]
+        slots.append((np.array([*_slots(path), *head], np.int32), np.array(every, np.int32)))
         n = len(text)
         dense[k] = (np.log1p(n) / 6, min(1.0, link / max(1, n)), text[-1] in ".!?;:\"'", (text[:1] == "©"), k / max(1, len(blocks) - 1), sum(map(text.count, ".,;")) / max(1, n) * 10)
     return slots, dense
@@ -138,19 +158,30 @@ class Labeller:
 
     def __init__(self, seed: int = SEED) -> None:
         rng = np.random.default_rng(seed)
-        d, h = WIDTH + 6, HIDDEN
-        self.w = {"e": rng.normal(0, 0.1, (SLOTS, WIDTH)), "o": rng.normal(0, 0.3, (2 * h, 1)), "ob": np.zeros(1)}
+        d, h = 2 * WIDTH + 6, HIDDEN
+        self.w = {"e": np.concatenate([rng.normal(0, 0.1, (SLOTS, WIDTH)), np.zeros((WORDS, WIDTH))]), "o": rng.normal(0, 0.3, (2 * h, 1)), "ob": np.zeros(1)}
         for side in "fb":
             self.w[f"{side}x"] = rng.normal(0, d**-0.5, (d, 4 * h))
             self.w[f"{side}h"] = rng.normal(0, h**-0.5, (h, 4 * h))
             self.w[f"{side}b"] = np.concatenate([np.zeros(h), np.ones(h), np.zeros(2 * h)])
         self.w = {k: v.astype(np.float32) for k, v in self.w.items()}
 
-    def inputs(self, slots: list[np.ndarray], dense: np.ndarray) -> np.ndarray:
-        sizes = np.array([len(s) for s in slots])
-        at = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-        words = np.add.reduceat(self.w["e"][np.concatenate(slots)], at, axis=0) / np.sqrt(sizes)[:, None]
-        return np.concatenate([words, dense], axis=1).astype(np.float32)
+    def _sums(self, slots: list[np.ndarray]) -> np.ndarray:
+        """Sum of the vectors of each of the lists, by the root of its size; SUMMED vectors or one list at a time."""
+        out, first = np.empty((len(slots), WIDTH), np.float32), 0
+        while first < len(slots):
+            upto, n = first + 1, len(slots[first])
+            while upto < len(slots) and n + len(slots[upto]) <= SUMMED:
+                n += len(slots[upto])
+                upto += 1
+            sizes = np.array([len(s) for s in slots[first:upto]])
+            at = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+            out[first:upto] = np.add.reduceat(self.w["e"][np.concatenate(slots[first:upto])], at, axis=0) / np.sqrt(sizes)[:, None]
+            first = upto
+        return out
+
+    def inputs(self, slots: list[tuple[np.ndarray, np.ndarray]], dense: np.ndarray) -> np.ndarray:
+        return np.concatenate([self._sums([s for s, _ in slots]), self._sums([w for _, w in slots]), dense], axis=1).astype(np.float32)
 
     def _pass(self, x: np.ndarray, side: str, keep: bool = False):
         """x: (pages, places, d) -> hidden states; with keep also what the gradient needs."""
@@ -175,7 +206,7 @@ class Labeller:
         both = np.concatenate([self._pass(x, "f"), self._pass(x, "b")], axis=2)
         return (both @ self.w["o"])[..., 0] + self.w["ob"]
 
-    def label(self, pages: list[tuple[list[np.ndarray], np.ndarray]]) -> list[np.ndarray]:
+    def label(self, pages: list[tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]]) -> list[np.ndarray]:
         """Whether each block of each page is content. Pages are taken in groups of one length: no padding is read."""
         out: list[np.ndarray] = [np.zeros(0, bool)] * len(pages)
         by: dict[int, list[int]] = {}
@@ -190,7 +221,7 @@ class Labeller:
                     out[k] = s > 0
         return out
 
-    def learn(self, pages: list[tuple[list[np.ndarray], np.ndarray, np.ndarray]], passes: int = PASSES, rate: float = 0.01) -> None:
+    def learn(self, pages: list[tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray, np.ndarray]], passes: int = PASSES, rate: float = 0.01) -> None:
         """Adam on the cross entropy of every block, a page at a time, by backpropagation through the sequence."""
         m = {k: np.zeros_like(v) for k, v in self.w.items()}
         v = {k: np.zeros_like(a) for k, a in self.w.items()}
@@ -218,10 +249,12 @@ class Labeller:
                         d_x[:, at] += d_g @ self.w[f"{side}x"].T
                         d_state, d_cell = d_g @ self.w[f"{side}h"].T, d_cell * fg
                     g |= {f"{side}x": g_x, f"{side}h": g_h, f"{side}b": g_b}
-                sizes = np.array([len(s) for s in slots])
                 g["e"] = np.zeros_like(self.w["e"])
-                np.add.at(g["e"], np.concatenate(slots), np.repeat(d_x[0, :, :WIDTH] / np.sqrt(sizes)[:, None], sizes, axis=0))
-                g["e"][SLOTS // 2 :] += 0.003 * self.w["e"][SLOTS // 2 :]  # most first words are of no kind
+                for part, own in enumerate(zip(*slots, strict=True)):
+                    sizes = np.array([len(s) for s in own])
+                    np.add.at(g["e"], np.concatenate(own), np.repeat(d_x[0, :, part * WIDTH : (part + 1) * WIDTH] / np.sqrt(sizes)[:, None], sizes, axis=0))
+                g["e"][SLOTS // 2 : SLOTS] += 0.003 * self.w["e"][SLOTS // 2 : SLOTS]  # most first words are of no kind
+                g["e"][SLOTS:] += 0.0003 * self.w["e"][SLOTS:]
                 step += 1
                 rate = first * (1 - 0.97 * step / total)
                 for name, grad in g.items():
@@ -232,6 +265,13 @@ class Labeller:
 
 _ASIDE = ("sidebar", "widget", "related", "recommended", "promo", "ad", "ads", "advert", "banner", "sponsor", "cookie", "consent", "notice", "newsletter", "subscribe", "share", "social", "breadcrumb", "pagination", "popup", "modal", "disclaimer", "tags", "author box", "menu", "toolbar", "skip")
 _STOCK = ("Subscribe to our newsletter", "We use cookies", "All rights reserved", "Sponsored", "Advertisement", "Related articles", "Share this", "Read more", "Sign up", "Follow us", "Privacy policy", "Terms of use")
+#: Words by which a block without a telling class is known for a notice, an advert or a comment, wherever they stand.
+_CUES = (
+    "all rights reserved", "we use cookies", "by using this site you accept our use of cookies", "accept all cookies", "subscribe to our newsletter", "sign up for our newsletter", "read our privacy policy",
+    "terms of use apply", "share this article", "follow us on", "this is a sponsored post", "paid advertisement", "buy now and save", "leave a reply", "log in to reply", "posted in the comments",
+    "posted on Monday morning by", "posted on Friday by", "posted by", "copyright by", "unsubscribe at any time", "related articles", "click here to subscribe", "report this comment",
+)
+_COMMON = "the and of to a in is on by this that we our it as at for with you all your are be from or was not us use no".split()
 _TALK = ("comments", "comment", "discussion", "reply", "respond", "disqus thread", "user comments")
 _MAIN = ("", "", "", "content", "post", "entry content", "article body", "main", "story", "post body", "text")
 
@@ -241,10 +281,28 @@ def sample_page(rng: np.random.Generator) -> tuple[str, list[bool]]:
     letters = "etaoinshrdlucmfwypvbgk"
     word = lambda: "".join(rng.choice(list(letters), rng.integers(1, 9)))
     words = lambda a, b: " ".join(word() for _ in range(rng.integers(a, b)))
-    sentence = lambda a=3, b=25: words(a, b).capitalize() + rng.choice([".", ".", ".", "!", "?", ""])
     pick = lambda xs: xs[int(rng.integers(len(xs)))]
+    sentence = lambda a=3, b=25: mixed(words(a, b)).capitalize() + rng.choice([".", ".", ".", "!", "?", ""])
     out, truth = [], []
 
+    def mixed(text: str) -> str:
+        """Some of the words replaced by common ones, which tell nothing although cues hold them too."""
+        share = pick((0, 0.2, 0.4, 0.7))
+        return " ".join(pick(_COMMON) if rng.random() < share else w for w in text.split())
+
+    def stray(text: str) -> str:
+        """At times with words of several cues, which tell nothing without their neighbours."""
+        own = text.split()
+        for _ in range(int(rng.integers(1, 4)) if rng.random() < 0.3 else 0):
+            own.insert(int(rng.integers(len(own) + 1)), pick(pick(_CUES).split()))
+        return " ".join(own)
+
+    def telling() -> str:
+        """Invented words with a cue or two anywhere among them."""
+        own = [mixed(words(1, 25)) for _ in range(rng.integers(1, 3))] + [pick(_CUES) for _ in range(rng.integers(1, 3))]
+        text = " ".join(own[int(k)] for k in rng.permutation(len(own)))
+        return text[0].upper() + text[1:] + pick([".", ".", "", "!"])
+
     def add(markup: str, *labels: bool) -> None:
         out.append(markup)
         truth.extend(labels)
@@ -258,7 +316,7 @@ def sample_page(rng: np.random.Generator) -> tuple[str, list[bool]]:
 
     def extra() -> None:
         """One block of something that is not the article."""
-        kind = rng.integers(6)
+        kind = rng.integers(8)
         if kind == 0:
             lead = pick(_STOCK) + " " if rng.random() < 0.3 else ""
             add(named(pick(["div", "aside", "section"]), pick(_ASIDE)) + f"{lead}{sentence(2, 30)}</div>", False)
@@ -275,9 +333,12 @@ def sample_page(rng: np.random.Generator) -> tuple[str, list[bool]]:
             add(named("div", pick(_ASIDE)) + "<ul>")
             links(int(rng.integers(1, 5)))
             out.append("</ul></div>")
-        else:
+        elif kind == 5:
             add(named(pick(["div", "p"]), pick(_ASIDE)) + f"{sentence(2, 20)}", False)
             out.append("</div></p>")
+        else:  # nothing but its words tells it from the article
+            tag = pick(["div", "p", "p"])
+            add(f"<{tag}>{telling()}</{tag}>", False)
 
     if rng.random() < 0.5:
         add(named("header", pick(["", "site header", "top"])) + f"<h1>{words(1, 4)}</h1><p>{sentence(2, 8)}</p></header>", False, False)
@@ -291,22 +352,22 @@ def sample_page(rng: np.random.Generator) -> tuple[str, list[bool]]:
     name = pick(_MAIN) if tag != "div" else pick(_MAIN[3:])
     out.append(named(tag, name))
     if rng.random() < 0.8:
-        add(f"<{(h := pick(['h1', 'h1', 'h2']))}>{words(1, 12)}</{h}>", True)
+        add(f"<{(h := pick(['h1', 'h1', 'h2']))}>{stray(words(1, 12))}</{h}>", True)
     for _ in range(int(rng.integers(1, 14 if rng.random() < 0.85 else 70))):
         kind = rng.random()
         if kind < 0.5:
-            add(f"<p>{' '.join(sentence(1, 30) for _ in range(rng.integers(1, 5)))}</p>", True)
+            add(f"<p>{' '.join(stray(sentence(1, 30)) for _ in range(rng.integers(1, 5)))}</p>", True)
         elif kind < 0.65:
             add(f"<p><b>{sentence(1, 40)}<br>", True)
         elif kind < 0.72:
-            add(f"<h2>{words(1, 6)}</h2>", True)
+            add(f"<h2>{stray(words(1, 6))}</h2>", True)
         elif kind < 0.8:
             out.append("<ul>")
             for _ in range(int(rng.integers(1, 4))):
-                add(f"<li>{sentence(1, 12)}</li>", True)
+                add(f"<li>{stray(sentence(1, 12))}</li>", True)
             out.append("</ul>")
         elif kind < 0.86:
-            add(f"<blockquote>{sentence()}</blockquote>", True)
+            add(f"<blockquote>{stray(sentence())}</blockquote>", True)
         elif kind < 0.92:
             add(f'<p>{sentence(1, 9)} <a href="/{word()}">{words(1, 5)}</a> {sentence(1, 9)}</p>', True)
         elif kind < 0.95:
@@ -314,6 +375,8 @@ def sample_page(rng: np.random.Generator) -> tuple[str, list[bool]]:
         else:
             out.append("</b></p>")
             extra()
+        if rng.random() < 0.1:
+            add(f"<p>{telling()}</p>", False)
     out.append(f"</{tag}>")
     if rng.random() < 0.06:  # a page that was cut short
         return "<!DOCTYPE html><html><body>" + "".join(out), truth
@@ -333,7 +396,7 @@ def sample_page(rng: np.random.Generator) -> tuple[str, list[bool]]:
     return lead + "".join(out), truth
 
 
-def generated(n: int, seed: int) -> list[tuple[list[np.ndarray], np.ndarray, np.ndarray]]:
+def generated(n: int, seed: int) -> list[tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray, np.ndarray]]:
     """Pages with labels; those whose markup the block cutter reads otherwise than the generator meant are left out."""
     rng, out = np.random.default_rng(seed), []
     while len(out) < n:

@@ -1,8 +1,10 @@
 """Texts that earlier forms of the operators read in part."""
 
+import random
+
 import pytest
 
-from pathframe.llm import licenses
+from pathframe.llm import licenses, pages
 
 
 def docs_of(spark, some):
@@ -36,3 +38,17 @@ def test_guard_words_lose_no_match(threshold):
     need = [-(-round(threshold * 1000) * len(ws) // 1000) for ws in sets]
     guard = set(licenses.guards(sets, need))
     assert all(len(set(ws) - guard) < n for ws, n in zip(sets, need, strict=True))
+
+
+def test_blocks_are_told_by_words_wherever_they_stand():
+    rng = random.Random(3)
+    word = lambda: "".join(rng.choice("etaoinshrdlu") for _ in range(rng.randrange(3, 9)))
+    sentence = lambda n: " ".join(word() for _ in range(n)).capitalize() + "."
+    model, right = pages.labeller(), []
+    for cue in ("posted on Monday morning by {} All rights reserved.", "and on this site we use cookies {}.", "{} subscribe to our newsletter."):
+        for _ in range(20):
+            said = f"{sentence(15)[:-1]} {cue.format(sentence(4)[:-1])}"
+            plain = sentence(len(said.split()))
+            got = [pages.main_texts([f"<html><body><div class='content'><p>{sentence(30)}</p><p>{text}</p><p>{sentence(25)}</p></div></body></html>"], model)[0].split("\n") for text in (said, plain)]
+            right.append(len(got[0]) == 2 and said not in got[0] and len(got[1]) == 3)
+    assert sum(right) >= 0.8 * len(right)
