@@ -23,8 +23,10 @@ from pyspark.sql import DataFrame
 from .common import arrow_bounded, chunks
 
 #: Tags that end a block; tags whose content is no text of the page.
-_BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html legend li main menu nav ol option p pre section select summary table tbody td tfoot th thead title tr ul".split())
-_SILENT = frozenset("script style noscript template textarea svg iframe object canvas math head title button select option".split())
+_BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html legend li main menu nav ol option p pre section select summary table tbody td tfoot th thead title tr ul svg text object canvas".split())
+_SILENT = frozenset("script style noscript template textarea iframe head title button select option".split())
+#: Tags that an open head holds; any other, and text, closes it, as its end tag may be left out.
+_IN_HEAD = frozenset("base basefont bgsound link meta title noscript noframes style script template head html".split())
 #: Elements that hold nothing, and elements that a new one of the same group closes.
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 _CLOSES = {"p": {"p"}, "li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}}
@@ -44,7 +46,8 @@ PAGES, PASSES, SEED = 500, 6, 11
 def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
     """(tag path, text, characters inside links) of the page's blocks in order, those without text left out.
 
-    Text of silent elements is dropped; character references are decoded; white space becomes one space. A line break
+    Text of silent elements is dropped, but not that of formulas, drawings and fallbacks of objects; a head ends where
+    its end tag, a body, a flow element or text stands. Character references are decoded; white space becomes one space. A line break
     inside a block is white space. Unclosed and truncated markup closes where its parent or the page does.
     """
     out: list[tuple[tuple[str, ...], str, int]] = []
@@ -62,6 +65,10 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
             parts.clear()
         link = 0
 
+    def leave_head() -> None:
+        if stack and stack[-1][0] == "head":
+            close(len(stack) - 1)
+
     def close(upto: int) -> None:
         nonlocal silent
         while len(stack) > upto:
@@ -72,6 +79,8 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
         tag = page.find("<", at)
         if tag < 0:
             tag = end
+        if silent and tag > at and not page[at:tag].isspace():
+            leave_head()
         if tag > at and not silent:
             parts.append(page[at:tag])
             if any(n == "a" for n, _ in stack):
@@ -80,6 +89,7 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
             break
         m = _PART.match(page, tag)
         if m is None:
+            leave_head()
             if not silent:
                 parts.append("<")
             at = tag + 1
@@ -98,6 +108,8 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
                     close(i)
                     break
             continue
+        if name not in _IN_HEAD:
+            leave_head()
         if name in _VOID or m[3].endswith("/"):
             continue
         if name in _CLOSES:

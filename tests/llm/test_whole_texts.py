@@ -52,3 +52,15 @@ def test_blocks_are_told_by_words_wherever_they_stand():
             got = [pages.main_texts([f"<html><body><div class='content'><p>{sentence(30)}</p><p>{text}</p><p>{sentence(25)}</p></div></body></html>"], model)[0].split("\n") for text in (said, plain)]
             right.append(len(got[0]) == 2 and said not in got[0] and len(got[1]) == 3)
     assert sum(right) >= 0.8 * len(right)
+
+
+def test_open_heads_and_text_of_formulas_and_drawings():
+    texts = lambda page: [t for _, t, _ in pages.leaves(page)]
+    assert texts("<html><head><title>t</title><body><p>article") == ["article"]
+    assert texts("<head><meta charset=utf-8><script>var a = '<p>';</script><style>p{}</style><link rel=x><p>one<p>two") == ["one", "two"]
+    assert texts("<html><head>\n<title>t</title>\nbare <b>words</b>") == ["bare words"]
+    assert texts("<head><title>t</title></head><body>a</body>") == ["a"] and texts("<head><noscript><p>no</p></noscript><template><p>no</p></template><body>a") == ["a"]
+    assert texts("<p>with <math><mi>x</mi><mo>=</mo><mn>2</mn></math> it holds</p>") == ["with x=2 it holds"]
+    assert texts("<p>a</p><svg><title>no</title><style>no</style><text x='1'>axis</text><text>label</text></svg><object data=x>fallback</object><canvas><p>drawn</p></canvas><p>b") == ["a", "axis", "label", "fallback", "drawn", "b"]
+    page = "<html><head><title>t</title><body><div class='content'><h1>A title of it</h1><p>The first sentence of the article stands here.</p><p>And a second one follows it.</p></div></body></html>"
+    assert "first sentence" in pages.main_texts([page], pages.labeller())[0]
