@@ -1,6 +1,6 @@
 """Personal data: stated patterns by place, and further spans found by weak supervision.
 
-Candidates beyond the stated patterns get votes from regex, gazetteer and context labelers. Counts of the distinct
+Candidates beyond the stated patterns get votes from regex and context labelers; there is no gazetteer. Counts of the distinct
 vote patterns over the whole corpus go to the driver (at most 3^6 of them), expectation-maximisation estimates each
 labeler's reliability from them, and a logistic classifier over votes and shape is fitted to the posteriors; its
 weights come back as one column expression.
