@@ -23,6 +23,35 @@ def let(value: Column, body: Callable[[Column], Column]) -> Column:
     return F.transform(F.array(value), body)[0]
 
 
+def running(values: Column, how: str, block: int = 512) -> Column:
+    """Running sum, max or min of an int array, in blocks: a fold that appends copies what it has, so it is kept short."""
+    put = {"sum": lambda a, v: a + v, "max": F.greatest, "min": F.least}[how]
+
+    def folded(own: Column) -> Column:
+        start = own[0] if how != "sum" else F.lit(0)
+        step = lambda s, v: F.struct(put(s["at"], v).alias("at"), F.concat(s["out"], F.array(put(s["at"], v))).alias("out"))
+        return F.aggregate(own, F.struct(start.cast("int").alias("at"), F.array().cast("array<int>").alias("out")), step, lambda s: s["out"])
+
+    def joined(blocks: Column) -> Column:
+        last = folded(F.transform(blocks, lambda b: F.element_at(b, -1)))
+        return F.when(F.size(blocks) == 1, blocks[0]).otherwise(let(last, lambda ends: F.flatten(F.transform(blocks, lambda b, k: F.transform(b, lambda v: F.when(k > 0, put(F.get(ends, k - 1), v)).otherwise(v))))))
+
+    cut = lambda own: F.transform(F.sequence(F.lit(0), F.floor((F.size(own) - 1) / block).cast("int")), lambda k: folded(F.slice(own, k * block + 1, F.lit(block))))
+    return let(values, lambda own: F.when(F.size(own) == 0, F.array().cast("array<int>")).otherwise(let(cut(own), joined)))
+
+
+def quoted(column: str) -> str:
+    return "`" + column.replace("`", "``") + "`"
+
+
+def free_name(df: DataFrame, stem: str) -> str:
+    """A column name that df doesn't have, in any case of letters."""
+    taken = {c.lower() for c in df.columns}
+    while stem in taken:
+        stem += "_"
+    return stem
+
+
 def ascii_lower(text: Column) -> Column:
     """A-Z only; lower() would also fold letters such as the Kelvin sign into a-z."""
     return F.translate(text, UPPER, LOWER)
