@@ -2,20 +2,21 @@
 
 from __future__ import annotations
 
-import math
 from collections.abc import Sequence
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import let
 
 _SPACE = " \t\n\x0b\f\r"
-#: Labelled documents that a list is learned from, at most: those of the smallest hashes of their ids.
+#: Rows of labelled documents that a list is learned from, at most: those of the smallest hashes of their ids and texts.
 SAMPLE = 4000
-#: A rule must be right for this share of the pruning rows that it rejects, and cover so many of them.
-PRECISION, COVER = 0.95, 5
+#: A rule must be right for this share of the rows that it rejects, in the pruning part and in all; and reject this share
+#: of the bad rows there are when learning begins, SEEN rows at least.
+PRECISION, COVER, SEEN = 0.95, 0.02, 3
 MOST_RULES, MOST_CONDITIONS, CUTS = 12, 4, 24
 
 
@@ -27,23 +28,24 @@ def repeated_words(words: Column, width: int = 5) -> Column:
     """Words inside windows of `width` words that occur twice or more, the first occurrence included.
 
     Windows are compared by 64-bit hashes within one text. Texts without a repeat stop after one distinct count; for
-    others, the hashes are sorted once and each word is marked by the windows that reach it.
+    others, windows are sorted by hash, those with an equal neighbour are put back in order, and their words counted:
+    time grows as n log n.
     """
 
     def windows(hashes: Column) -> Column:
         return F.transform(F.slice(hashes, 1, F.greatest(F.size(hashes) - (width - 1), F.lit(0))), lambda h, i: F.xxhash64(h, *[hashes[i + k] for k in range(1, width)]))
 
-    def covered(found: Column) -> Column:
-        def count(again: Column) -> Column:
-            marks = F.transform(found, lambda h, i: F.when(F.array_contains(again, h), i))
-            places = F.filter(marks, lambda i: i.isNotNull())
-            # each marked window adds the words that the marked window before it doesn't hold
-            start = F.struct(F.lit(0).cast("long").alias("n"), F.lit(-width).alias("last"))
-            step = lambda s, i: F.struct((s["n"] + F.least(F.lit(width), i - s["last"])).alias("n"), i.alias("last"))
-            return F.aggregate(places, start, step, lambda s: s["n"])
+    def marked(ordered: Column) -> Column:
+        """Places of the windows that have an equal neighbour in the order of hashes."""
+        alike = lambda s, k: F.coalesce(F.get(ordered, k)["h"] == s["h"], F.lit(False))
+        return F.array_sort(F.transform(F.filter(ordered, lambda s, k: alike(s, k - 1) | alike(s, k + 1)), lambda s: s["i"]))
 
-        ordered = lambda s: F.array_distinct(F.filter(F.transform(s, lambda h, i: F.when((i > 0) & (h == F.get(s, i - 1)), h)), lambda h: h.isNotNull()))
-        return F.when(F.size(F.array_distinct(found)) == F.size(found), F.lit(0).cast("long")).otherwise(let(let(F.sort_array(found), ordered), count))
+    def covered(found: Column) -> Column:
+        # each marked window adds the words that the marked window before it doesn't hold
+        start = F.struct(F.lit(0).cast("long").alias("n"), F.lit(-width).alias("last"))
+        step = lambda s, i: F.struct((s["n"] + F.least(F.lit(width), i - s["last"])).alias("n"), i.alias("last"))
+        ordered = F.array_sort(F.transform(found, lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
+        return F.when(F.size(F.array_distinct(found)) == F.size(found), F.lit(0).cast("long")).otherwise(F.aggregate(let(ordered, marked), start, step, lambda s: s["n"]))
 
     return let(let(F.transform(words, lambda w: F.xxhash64(w)), windows), covered)
 
@@ -95,68 +97,85 @@ class Rule:
 def learn(rows: Sequence[tuple[dict[str, float], bool]]) -> list[Rule]:
     """Sequential covering over (measures, is bad): grow on two thirds, prune on the rest, drop what a rule covers.
 
-    A rule is kept while it is right on the pruning rows; rows are dealt to the parts by position, so the list depends
-    on nothing but the rows. Empty rows, or none bad, give an empty list.
+    Bad rows and good ones are dealt to the parts by position, each kind by itself, so that few bad ones are in both
+    parts, and the list depends on nothing but the rows. Conditions are pruned from the end; a rule stays that is right
+    for PRECISION of what it rejects in the pruning part and in all. What a rule covers goes, and so do the growing rows
+    of a rule that is refused, so one bad rule doesn't end the list. Empty rows, or none bad, give an empty list.
     """
-    grow, prune, rules = [r for i, r in enumerate(rows) if i % 3], [r for i, r in enumerate(rows) if i % 3 == 0], []
     measures = sorted(rows[0][0]) if rows else []
-    cuts = {}
-    for m in measures:
-        values = sorted({r[m] for r, _ in rows})
-        picks = sorted({values[min(len(values) - 1, k * len(values) // CUTS)] for k in range(CUTS)} | {values[-1 - min(len(values) - 1, (len(values) >> k))] for k in range(3, 12)})
-        cuts[m] = picks
-    while len(rules) < MOST_RULES and any(bad for _, bad in grow):
-        held, chosen = grow, []
-        while len(chosen) < MOST_CONDITIONS and any(not bad for _, bad in held):
-            if (step := _best(held, measures, cuts)) is None:
+    x, bad = np.array([[r[m] for m in measures] for r, _ in rows], float).reshape(len(rows), len(measures)), np.array([b for _, b in rows], bool)
+    place = np.zeros(len(rows), np.int64)
+    for kind in (bad, ~bad):
+        place[kind] = np.arange(kind.sum())
+    growing, alive, rules = place % 3 != 0, np.ones(len(rows), bool), []
+    least, tried = max(SEEN, int(COVER * bad.sum())), 0
+    while len(rules) < MOST_RULES and tried < 3 * MOST_RULES and (alive & growing & bad).any():
+        tried += 1
+        held, chosen, options = alive & growing, [], []
+        while len(chosen) < MOST_CONDITIONS and (held & ~bad).any():
+            if (found := _best(x[held], bad[held])) is None:
                 break
-            chosen.append(step)
-            held = [r for r in held if step.holds(r[0])]
-        options = [Rule(tuple(chosen[:k])) for k in range(1, len(chosen) + 1)]
-        scored = [(_right(rule, prune), -len(rule.conditions), rule) for rule in options]
-        scored = [x for x in scored if x[0][0] >= PRECISION and x[0][1] >= COVER]
-        if not scored:
+            m, above, cut = found
+            chosen.append(Condition(measures[m], above, cut))
+            held &= (x[:, m] > cut) if above else (x[:, m] <= cut)
+            options.append(list(chosen))
+        scored = []
+        for conditions in options:
+            met = alive.copy()
+            for c in conditions:
+                column = x[:, measures.index(c.measure)]
+                met &= (column > c.cut) if c.above else (column <= c.cut)
+            part = met & ~growing
+            if met.sum() >= least and part.any() and bad[part].mean() >= PRECISION and bad[met].mean() >= PRECISION:
+                scored.append(((bad[part].mean() - 0.5) * part.sum(), -len(conditions), conditions, met))
+        if scored:
+            _, _, conditions, met = max(scored, key=lambda s: s[:2])
+            rules.append(Rule(tuple(conditions)))
+            alive &= ~met
+        elif options:
+            alive &= ~(held & growing)
+        else:
             break
-        rule = max(scored, key=lambda x: (x[0][0] - 0.5) * x[0][1])[-1]
-        rules.append(rule)
-        grow, prune = [r for r in grow if not rule.holds(r[0])], [r for r in prune if not rule.holds(r[0])]
     return rules
 
 
-def _best(rows, measures, cuts) -> Condition | None:
-    """The condition of the largest information gain over the rows that it keeps."""
-    p, n = sum(bad for _, bad in rows), sum(not bad for _, bad in rows)
-    base, best, gain = math.log2(p / (p + n)) if p else 0.0, None, 1e-9
-    for m in measures:
-        for cut in cuts[m]:
-            up_p = sum(bad and r[m] > cut for r, bad in rows)
-            up_n = sum((not bad) and r[m] > cut for r, bad in rows)
-            for above, a, b in ((True, up_p, up_n), (False, p - up_p, n - up_n)):
-                if a and a + b < p + n and (g := a * (math.log2(a / (a + b)) - base)) > gain:
-                    best, gain = Condition(m, above, cut), g
-    if best is None:
+def _best(x: np.ndarray, bad: np.ndarray) -> tuple[int, bool, float] | None:
+    """(measure, above, cut) of the largest information gain over the rows that it keeps; cuts stand half way to the next
+    value, so that rows unlike any seen aren't rejected by a hair."""
+    p, n = int(bad.sum()), len(bad)
+    if not p or p == n:
         return None
-    # half way to the next value on the far side, so that rows unlike any seen aren't rejected by a hair
-    beyond = min((r[best.measure] for r, _ in rows if r[best.measure] > best.cut), default=best.cut)
-    return Condition(best.measure, best.above, (best.cut + beyond) / 2)
-
-
-def _right(rule: Rule, rows) -> tuple[float, int]:
-    hit = [bad for r, bad in rows if rule.holds(r)]
-    return (sum(hit) / len(hit) if hit else 0.0), len(hit)
+    base, best, most = np.log2(p / n), None, 1e-9
+    for m in range(x.shape[1]):
+        order = np.argsort(x[:, m], kind="stable")
+        values, upto = x[order, m], np.cumsum(bad[order])
+        ends = np.flatnonzero(np.append(values[1:] != values[:-1], False))  # a cut stands after these
+        if len(ends) > 16 * CUTS:
+            ends = ends[np.unique(np.concatenate([np.linspace(0, len(ends) - 1, 12 * CUTS).astype(int), np.arange(2 * CUTS), np.arange(len(ends) - 2 * CUTS, len(ends))]))]
+        low_p, low_n = upto[ends].astype(float), ends + 1.0
+        for above, a, b in ((True, p - low_p, n - low_n), (False, low_p, low_n)):
+            with np.errstate(divide="ignore", invalid="ignore"):
+                gain = np.where(a > 0, a * (np.log2(a / b) - base), -1.0)
+            if len(gain) and gain.max() > most:
+                k = int(gain.argmax())
+                best, most = (m, above, float((values[ends[k]] + values[ends[k] + 1]) / 2)), gain[k]
+    return best
 
 
 def learn_from(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> list[Rule]:
-    """A list learned from at most `most` labelled documents (quality 0: bad); rows of null ids or labels are left out.
+    """A list learned from at most `most` rows of labelled documents (quality 0: bad) that pass the base test, which the
+    list adds to; rows of null ids or labels are left out, and of several labels of an id the worst counts.
 
-    Only these documents' measures reach the driver, `most` rows of ten numbers.
+    Only these rows' measures reach the driver, `most` rows of ten numbers, whatever the type of the ids and however
+    often one repeats; they are picked by hash of id and text, the same at every run and in any order of rows.
     """
     picked = labels.filter(F.col("quality").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.min("quality").alias("quality"))
     picked = picked.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    measured = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").withColumn("s", statistics(F.col("text")))
+    rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id")
+    rows = rows.orderBy(F.xxhash64("doc_id"), "doc_id", F.xxhash64("text")).limit(most)
     shares = _shares(F.col("s"))
-    got = measured.select("doc_id", "quality", *[c.alias(k) for k, c in shares.items()]).collect()
-    got = sorted(got, key=lambda r: (hash((r["doc_id"] * 2654435761) % 2**32), r["doc_id"], r["words"]))
+    got = rows.withColumn("s", statistics(F.col("text"))).select(base_failed(F.col("s")).alias("failed"), "quality", F.xxhash64("doc_id").alias("at"), *[c.alias(k) for k, c in shares.items()]).collect()
+    got = sorted((r for r in got if not r["failed"]), key=lambda r: (r["at"], *[r[k] for k in shares]))
     return learn([({k: float(r[k]) for k in shares}, r["quality"] == 0) for r in got])
 
 
