@@ -4,14 +4,15 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator, Sequence
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_bounded, chunks
+from .common import arrow_bounded, chunks, free_name, quoted, stored
 
 #: Words of a window; bytes of item text that one automaton (and its broadcast) may hold.
 WINDOW, AUTOMATON_BYTES = 13, 32 << 20
@@ -75,81 +76,107 @@ class Scanner:
 _SCANNERS: dict[str, Scanner] = {}
 
 
-def _groups(benchmark: DataFrame) -> list[list[tuple[object, str | None]]]:
-    """Items in groups of at most AUTOMATON_BYTES of text: each group is one automaton and one scan."""
-    size, count = benchmark.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)), F.count(F.lit(1))).first()
+def _groups(benchmark: DataFrame) -> Iterator[list[tuple[object, str | None]]]:
+    """Items in groups of at most about AUTOMATON_BYTES of text: each group is one automaton and one scan. The driver
+    holds one group at a time. Repeated rows are one; an empty benchmark is one empty group."""
+    rows = benchmark.select("item_id", "text").distinct()
+    size, count = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)), F.count(F.lit(1))).first()
     n = max(1, -(-size // AUTOMATON_BYTES), -(-count // 1_000_000))
-    rows = benchmark.select("item_id", "text")
-    if n == 1:
-        return [[tuple(r) for r in rows.collect()]]
-    dealt = rows.withColumn("g", F.pmod(F.xxhash64("item_id", "text"), F.lit(n)))
-    return [[(r["item_id"], r["text"]) for r in dealt.filter(F.col("g") == k).collect()] for k in range(n)]
+    for k in range(n):
+        yield [tuple(r) for r in (rows.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k) if n > 1 else rows).collect()]
+
+
+_FOUND = "n_words long, runs array<struct<first:long,end:long>>, items array<string>, hit_spans array<struct<start:long,end:long>>"
+_FOUND_TYPES = pa.schema([("n_words", pa.int64()), ("runs", pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())]))), ("items", pa.list_(pa.string())), ("hit_spans", pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))])
+
+
+def _scanned(rows: DataFrame, items: list[tuple[object, str | None]], keep: Sequence[str], spans: bool) -> DataFrame:
+    """keep and what one automaton finds in each row: its words, the runs of hit words, the items, the runs as places of
+    the original text if asked."""
+    shared = rows.sparkSession.sparkContext.broadcast(items)
+    key = hashlib.sha256(repr(items).encode()).hexdigest()
+    kept = ", ".join(f"{quoted(k)} {rows.schema[k].dataType.simpleString()}" for k in keep)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if key not in _SCANNERS:
+            _SCANNERS.clear()
+            _SCANNERS[key] = Scanner(shared.value)
+        own = _SCANNERS[key]
+        for batch in batches:
+            for part in chunks(batch, "text"):
+                columns: list[list] = [[], [], [], []]
+                for text in part.column("text").to_pylist():
+                    words = words_of(text)
+                    runs, found = own.scan(words)
+                    columns[0].append(len(words))
+                    columns[1].append([{"first": a, "end": b} for a, b in runs])
+                    columns[2].append(found)
+                    at = [m.span() for m in _WORD.finditer(text)] if runs and spans else []
+                    columns[3].append([{"start": at[a][0], "end": at[b - 1][1]} for a, b in runs] if at else [])
+                yield pa.RecordBatch.from_arrays([*[part.column(k) for k in keep], *[pa.array(c, f.type) for c, f in zip(columns, _FOUND_TYPES, strict=True)]], [*keep, *_FOUND_TYPES.names])
+
+    return arrow_bounded(rows.select(*[F.col(quoted(k)) for k in keep], "text")).mapInArrow(run, f"{kept}, {_FOUND}")
+
+
+def _hits(rows: DataFrame, row: str, first: list, others: Iterator[list], spans: bool) -> DataFrame:
+    """What several automata find, put together by row number: the first one's rows are all there, the others give only
+    rows with hits, each written before the next group is read. A row's runs are all that meets in one place."""
+    every = stored(_scanned(rows, first, [row], spans), "scan")
+    hits = every.filter(F.size("runs") > 0)
+    for items in others:
+        hits = hits.unionByName(stored(_scanned(rows, items, [row], spans).filter(F.size("runs") > 0), "scan"))
+    lists = lambda c: F.flatten(F.collect_list(c)).alias(c)
+    joined = hits.groupBy(row).agg(*[lists(c) for c in _FOUND_TYPES.names[1:]]).withColumnRenamed(row, "at_")
+    empty = {f.name: F.array().cast(f.dataType) for f in every.schema.fields if f.name in _FOUND_TYPES.names[1:]}
+    both = every.select(row, "n_words").join(joined, F.col(row) == F.col("at_"), "left")
+    return both.select(row, "n_words", *[F.coalesce(c, e).alias(c) for c, e in empty.items()])
+
+
+def _judged(found: DataFrame) -> tuple[Column, Column]:
+    """Number of hit words, and whether they make a text contaminated; runs of several automata may overlap."""
+    zero = F.lit(0).cast("long")
+    step = lambda s, r: F.struct((s["n"] + F.greatest(zero, r["end"] - F.greatest(s["upto"], r["first"]))).alias("n"), F.greatest(s["upto"], r["end"]).alias("upto"))
+    n_hit = F.aggregate(F.array_sort(found["runs"]), F.struct(zero.alias("n"), zero.alias("upto")), step, lambda s: s["n"])
+    return n_hit, (n_hit > 0) & (20 * n_hit >= found["n_words"])
 
 
 def scan_documents(docs: DataFrame, benchmark: DataFrame, spans: bool = False) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated for each row; with spans also hit_spans, the runs of
-    hit words as code points (start, end) of the original text.
+    hit words as places start:end (code points of the original text, end exclusive), comma-joined in order.
 
     A null or empty text has no words, no hits and the hash of the empty string; so has any text while benchmark is
-    empty. Equal items under several ids all count. Repeated rows and null ids stay; other columns are ignored. The
-    items are collected in groups of bounded size; with more than one group (a benchmark beyond AUTOMATON_BYTES)
-    each is scanned by itself and the runs are put together by document.
+    empty. Equal items under several ids all count. Every row is judged by its own text: repeated rows, and rows that
+    share an id or have none, stay apart, with one automaton or several. Other columns are ignored. A benchmark beyond
+    AUTOMATON_BYTES is scanned for by several automata, one after another; the driver holds one group of items.
     """
     groups = _groups(benchmark)
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    schema = f"doc_id {kind}, text_key string, n_words long, runs array<struct<first:long,end:long>>, items array<string>, hit_spans array<struct<start:long,end:long>>"
-
-    def scanned(items: list) -> DataFrame:
-        shared = docs.sparkSession.sparkContext.broadcast(items)
-        key = hashlib.sha256(repr(items).encode()).hexdigest()
-        several = len(groups) > 1
-
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            if key not in _SCANNERS:
-                _SCANNERS.clear()
-                _SCANNERS[key] = Scanner(shared.value)
-            own = _SCANNERS[key]
-            out = pa.schema([("text_key", pa.string()), ("n_words", pa.int64()), ("runs", pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())]))), ("items", pa.list_(pa.string())), ("hit_spans", pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))])
-            for batch in batches:
-                for part in chunks(batch, "text"):
-                    columns = [[], [], [], [], []]
-                    for text in part.column("text").to_pylist():
-                        words = words_of(text)
-                        runs, found = own.scan(words)
-                        columns[0].append(hashlib.sha256((text or "").encode()).hexdigest() if several else "")
-                        columns[1].append(len(words))
-                        columns[2].append([{"first": a, "end": b} for a, b in runs])
-                        columns[3].append(found)
-                        at = [m.span() for m in _WORD.finditer(text)] if runs and spans else []
-                        columns[4].append([{"start": at[a][0], "end": at[b - 1][1]} for a, b in runs] if at else [])
-                    yield pa.RecordBatch.from_arrays([part.column("doc_id"), *[pa.array(c, f.type) for c, f in zip(columns, out, strict=True)]], ["doc_id", *out.names])
-
-        return arrow_bounded(docs.select("doc_id", "text")).mapInArrow(run, schema)
-
-    found = scanned(groups[0])
-    if len(groups) > 1:
-        for items in groups[1:]:
-            found = found.unionByName(scanned(items))
-        lists = lambda c: F.flatten(F.collect_list(c)).alias(c)  # noqa: E731  runs of one document
-        found = found.groupBy("doc_id", "text_key", "n_words").agg(lists("runs"), lists("items"), lists("hit_spans"), (F.count(F.lit(1)) / len(groups)).cast("int").alias("copies"))
-        found = found.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies"))))
-    start = F.struct(F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("upto"))
-    step = lambda s, r: F.struct((s["n"] + F.greatest(F.lit(0).cast("long"), r["end"] - F.greatest(s["upto"], r["first"]))).alias("n"), F.greatest(s["upto"], r["end"]).alias("upto"))
-    n_hit = F.aggregate(F.array_sort("runs"), start, step, lambda s: s["n"])
+    first, second = next(groups), next(groups, None)
+    rows = docs.select("doc_id", "text")
+    if second is None:
+        found = _scanned(rows, first, ["doc_id"], spans)
+    else:
+        rows = stored(rows.withColumn("row_", F.monotonically_increasing_id()), "rows")
+        found = rows.select("doc_id", "row_").join(_hits(rows, "row_", first, chain([second], groups), spans), "row_")
+    n_hit, bad = _judged(found)
     items = F.array_sort(F.array_distinct("items"))
-    out = found.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size(items).cast("long").alias("n_items"), F.sha2(F.array_join(items, ","), 256).alias("items_sha256"), *["hit_spans"] * spans)
-    return out.withColumn("contaminated", (F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words")))
+    out = found.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size(items).cast("long").alias("n_items"), F.sha2(F.array_join(items, ","), 256).alias("items_sha256"), bad.alias("contaminated"), "hit_spans")
+    places = F.array_join(F.transform(F.array_sort(F.array_distinct("hit_spans")), lambda s: F.concat_ws(":", s["start"].cast("string"), s["end"].cast("string"))), ",")
+    return out.withColumn("hit_spans", places) if spans else out.drop("hit_spans")
 
 
 def clean_documents(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The rows of docs that aren't contaminated, with their columns: one scan of the texts where one automaton holds
-    the items; else scan_documents() names the texts to drop, as items of several groups count together."""
+    """The rows of docs that aren't contaminated, with their columns, whatever these are called. Each row is judged by its
+    own text, as scan_documents() does; one scan where one automaton holds the items, else rows are numbered."""
     groups = _groups(benchmark)
-    if len(groups) > 1:
-        bad = scan_documents(docs, benchmark).filter("contaminated").select(F.col("doc_id").alias("__bad")).distinct()
-        return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("__bad")), "left_anti")
-    shared = docs.sparkSession.sparkContext.broadcast(groups[0])
-    key = hashlib.sha256(repr(groups[0]).encode()).hexdigest()
+    first, second = next(groups), next(groups, None)
+    if second is not None:
+        row = free_name(docs, "row_")
+        rows = stored(docs.withColumn(row, F.monotonically_increasing_id()), "rows")
+        found = _hits(rows.select(row, "text"), row, first, chain([second], groups), False)
+        bad = found.filter(_judged(found)[1]).select(F.col(row).alias("bad_"))
+        return rows.join(bad, F.col(row) == F.col("bad_"), "left_anti").drop(row)
+    shared = docs.sparkSession.sparkContext.broadcast(first)
+    key = hashlib.sha256(repr(first).encode()).hexdigest()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if key not in _SCANNERS:

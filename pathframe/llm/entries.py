@@ -31,7 +31,7 @@ def op5_bpe_transducer(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return decontaminate.scan_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return decontaminate.scan_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), spans=True)
 
 
 def op6_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
