@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import math
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -42,21 +43,23 @@ _NEGATIVE = r"(?:version|isbn|issn|doi|page|chapter|figure|sha1?|sha256|md5|comm
 _CONTACT = r"(?:phone|tel|telephone|mobile|cell|call|fax|ssn|social security|account|acct|iban|passport|card|contact|whatsapp)"
 #: What candidates look like. A value after a cue and "=" or ":"; a long run of token characters.
 _TOKEN = r"(?<![A-Za-z0-9_/+.-])[A-Za-z0-9_/+-]{16,}+"
-_ASSIGNED = rf"(?i:{_CUE})[\"']?\s{{0,3}}[=:]"
+#: Begins at the mark, which is rare, and looks back for the cue.
+_ASSIGNED = rf"[=:](?<=(?i:{_CUE})[\"']{{0,1}}\s{{0,3}}[=:])"
 _SECRET = rf"(?<=[\s\"'=:])(?<=(?i:{_CUE})[\"']{{0,1}}\s{{0,3}}[=:]\s{{0,3}}[\"']{{0,1}})[^\s\"',;<>()\[\]{{}}#*%&$|!?]{{4,}}+|{_TOKEN}"
 _NUMBER = r"(?<![A-Za-z0-9.])\(?[0-9](?:[\x20().-]{0,2}[0-9])++(?![A-Za-z])"
 _SURNAME = r"[A-Z][a-z]+(?:[-'][A-Z][a-z]+)?"
-_NAME = rf"\b(?:(?:Mr|Mrs|Ms|Dr|Prof)\.?\x20{_SURNAME}(?:\x20{_SURNAME})?|(?:{'|'.join(GIVEN_NAMES)})(?:\x20[A-Z]\.)?\x20{_SURNAME})\b"
-_ADDRESS = rf"(?<![0-9.,])\b[0-9]{{1,5}}[A-Za-z]?\x20(?:[A-Z][a-z]+\x20){{1,3}}(?:{'|'.join(STREETS)})\b"
+_NAME = rf"(?=[A-Z][a-z])(?<![A-Za-z0-9])(?:(?:Mr|Mrs|Ms|Dr|Prof)\.?\x20{_SURNAME}(?:\x20{_SURNAME})?|(?:{'|'.join(GIVEN_NAMES)})(?:\x20[A-Z]\.)?\x20{_SURNAME})\b"
+_ADDRESS = rf"(?<![0-9A-Za-z.,])[0-9]{{1,5}}[A-Za-z]?\x20(?:[A-Z][a-z]+\x20){{1,3}}(?:{'|'.join(STREETS)})\b"
 #: Characters before and after a candidate that the context labelers read, at most, inside what parts it from the next.
 CONTEXT, AFTER = 24, 8
 
 
-#: (kind, pattern, what a text must hold to be searched for it, what it must not hold).
+#: (kind, pattern, what a text must hold to be searched for it, what it must not hold). What must be held is quick to look
+#: for: a single class, or something that begins with a rare character.
 PATTERNS = (
-    ("email", _EMAIL, "@", ""), ("ip", _IP, r"[0-9]\.[0-9]", ""), ("card", _CARD, "[0-9]", ""), ("phone", _PHONE, r"\+", ""),
-    ("secret", _SECRET, _ASSIGNED, ""), ("secret", _TOKEN, "[A-Za-z0-9_/+-]{16}", _ASSIGNED), ("number", _NUMBER, "[0-9]", ""),
-    ("name", _NAME, rf"\b(?:{'|'.join([*GIVEN_NAMES, 'Mr', 'Mrs', 'Ms', 'Dr', 'Prof'])})\b", ""), ("address", _ADDRESS, rf"\b(?:{'|'.join(STREETS)})\b", ""),
+    ("email", _EMAIL, ("@",), ""), ("ip", _IP, (r"[0-9]\.[0-9]",), ""), ("card", _CARD, ("[0-9]",), ""), ("phone", _PHONE, (r"\+",), ""),
+    ("secret", _SECRET, ("[=:]", _ASSIGNED), ""), ("secret", _TOKEN, ("[0-9]", "[A-Za-z0-9_/+-]{16}"), _ASSIGNED), ("number", _NUMBER, ("[0-9]",), ""),
+    ("name", _NAME, (r"[A-Z][a-z]+\.?\x20(?:[A-Z]\.\x20)?[A-Z][a-z]",), ""), ("address", _ADDRESS, (r"[0-9][A-Za-z]?\x20[A-Z][a-z]",), ""),
 )
 
 
@@ -64,9 +67,9 @@ def found_in(text: Column, kinds: tuple[str, ...]) -> Column:
     """array<struct(kind, found, between)> of the kinds that text has matches of: the matches, and what parts them."""
     none = F.lit(None).cast("struct<kind:int,found:array<string>,between:array<string>>")
 
-    def one(kind: str, pattern: str, guard: str, unless: str) -> Column:
+    def one(kind: str, pattern: str, needs: tuple[str, ...], unless: str) -> Column:
         hits = lambda found: F.when(F.size(found) > 0, F.struct(F.lit(KINDS.index(kind)).alias("kind"), found.alias("found"), F.split(text, pattern, -1).alias("between")))
-        searched = text.rlike(guard) & ~text.rlike(unless) if unless else text.rlike(guard)
+        searched = reduce(Column.__and__, [text.rlike(n) for n in needs] + [~text.rlike(unless)] * bool(unless))
         return F.when(searched, let(F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), hits)).otherwise(none)
 
     return F.array_compact(F.array(*[one(*p) for p in PATTERNS if p[0] in kinds]))
