@@ -7,7 +7,6 @@ round as in the first, and counted, to see whether anything is left.
 
 from __future__ import annotations
 
-import tempfile
 from dataclasses import dataclass, field, replace
 from functools import reduce
 
@@ -16,6 +15,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import paths as P
+from ..sources.shared import checkpointed
 from .pathset import Facts, PathSet, least_per_pair
 
 MODES = ("walk", "trail", "acyclic", "simple", "shortest")
@@ -51,13 +51,7 @@ def release() -> None:
 
 
 def _keep(df: DataFrame, level: int, log: Log) -> tuple[DataFrame, int]:
-    sc = df.sparkSession.sparkContext
-    if not df.sparkSession.conf.get("spark.checkpoint.dir", None) and sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="pathframe-"))
-    df = df.checkpoint()
-    # new column identities: a checkpoint keeps those of its plan with what the plan knew of them (such as a seed's
-    # filter), and a join with the step relation, which has the same ones, would apply that to both sides
-    df = df.select(*[F.col(c).alias(c) for c in df.columns])
+    df = checkpointed(df)
     n = df.count()
     log.rounds.append((level, n))
     if n > BUDGET:

@@ -6,12 +6,13 @@ session's shared folder, with the batch that wrote them, so a batch that runs ag
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.shared import shared_top
+
 
 def events_stream(spark: SparkSession, folder: str, late: str = "1 hour") -> DataFrame:
     """The event table read as a stream, with its watermark; times without a zone are read in the session's."""
@@ -35,8 +36,7 @@ def two_hops(events: DataFrame, first: str = "click", then: str = "purchase", wi
 def drained(stream: DataFrame, keys: list[str] | None = None) -> DataFrame:
     """Run a stream until its input is used up and give its rows. With keys, rows are updates: the last of each counts."""
     spark = stream.sparkSession
-    top = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="stream-")
-    where = f"{top.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    where = f"{shared_top(spark)}/stream-{uuid.uuid4().hex}"
 
     def write(batch: DataFrame, number: int) -> None:
         batch.withColumn("batch", F.lit(number)).write.mode("overwrite").parquet(f"{where}/rows/part={number}")
