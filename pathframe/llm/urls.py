@@ -19,6 +19,9 @@ RULES = (
 )
 #: Rules that may be broadcast; a longer list is joined by a shuffle on the hash prefix.
 BROADCAST_RULES = 200_000
+#: Expressions of a url (host suffixes by path prefixes) that are looked up one after another in its own row; with more
+#: kinds of them, or a longer list, they are exploded and put together again by row.
+IN_ROW = 24
 #: Hex digits of the digest that the equi-join compares before the full digest does.
 PREFIX_DIGITS = 8
 
@@ -38,8 +41,10 @@ def _rest(url: Column) -> Column:
 
 def rule_frame(spark: SparkSession, rules: Sequence[tuple[str, str, str]]) -> DataFrame:
     """Rules with the digest of host + path; of equal host and path, block goes before allow."""
-    rows = spark.createDataFrame(list(rules), "action string, rule_host string, rule_path string")
-    rows = rows.withColumn("rule", F.concat("rule_host", "rule_path")).groupBy("rule_host", "rule_path", "rule").agg(F.max("action").alias("action"))
+    best: dict[str, str] = {}
+    for action, host, path in rules:
+        best[host + path] = max(action, best.get(host + path, ""))
+    rows = spark.createDataFrame(sorted(best.items()), "rule string, action string")
     digest = F.sha2("rule", 256)
     return rows.select("rule", "action", F.length("rule").alias("rank"), digest.alias("rule_digest"), F.substring(digest, 1, PREFIX_DIGITS).alias("prefix"))
 
@@ -65,6 +70,8 @@ def judge_urls(pages: DataFrame, rules: Sequence[tuple[str, str, str]] = RULES,
     lengths = sorted({len(p) for _, _, p in rules})
     most = max(h.count(".") + 1 for _, h, _ in rules)
     listed = rule_frame(spark, rules)
+    if len(rules) <= BROADCAST_RULES and most * len(lengths) <= IN_ROW:
+        return _judged(_looked_up(own, listed, most, lengths), default)
     if len(rules) <= BROADCAST_RULES:
         listed = F.broadcast(listed)
     rows = own.withColumn("row", F.monotonically_increasing_id())
@@ -72,6 +79,26 @@ def judge_urls(pages: DataFrame, rules: Sequence[tuple[str, str, str]] = RULES,
     grown = grown.withColumn("digest", F.sha2("expression", 256))
     met = grown.join(listed, (F.substring("digest", 1, PREFIX_DIGITS) == F.col("prefix")) & (F.col("digest") == F.col("rule_digest")), "left")
     best = met.groupBy("row", "page_id", "host", "path").agg(F.max(F.when(F.col("rule").isNotNull(), F.struct("rank", "action", "rule"))).alias("best"))
+    return _judged(best, default)
+
+
+def _looked_up(own: DataFrame, listed: DataFrame, most: int, lengths: Sequence[int]) -> DataFrame:
+    """own with the best rule: an equi-join with the broadcast list for each kind of expression, on the digest's prefix
+    and then the whole digest, which is unique in the list, so that a url stays one row and nothing is shuffled."""
+    best, names = own, []
+    for labels in range(1, most + 1):
+        for length in lengths:
+            k, name = len(names), f"met_{len(names)}"
+            suffix = F.when(F.size(F.split("host", "\\.")) >= labels, F.substring_index("host", ".", -labels))
+            expression = F.concat(suffix, F.when(F.length("path") >= length, F.substring("path", 1, length)))
+            rules = F.broadcast(listed.select(F.col("prefix").alias(f"prefix_{k}"), F.col("rule_digest").alias(f"digest_{k}"), F.struct("rank", "action", "rule").alias(name)))
+            digest = F.sha2(expression, 256)
+            best = best.join(rules, (F.substring(digest, 1, PREFIX_DIGITS) == F.col(f"prefix_{k}")) & (digest == F.col(f"digest_{k}")), "left")
+            names.append(name)
+    return best.select("page_id", "host", "path", (F.greatest(*names) if len(names) > 1 else F.col(names[0])).alias("best"))
+
+
+def _judged(best: DataFrame, default: str) -> DataFrame:
     return best.select("page_id", "host", "path", F.col("best.rule").alias("rule"), F.coalesce("best.action", F.lit(default)).alias("verdict"))
 
 

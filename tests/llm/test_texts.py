@@ -165,7 +165,9 @@ def test_extract(spark):
     assert got.count((1, want, len(want))) == 2 and (2, "", 0) in got and (None, "", 0) in got and len(got) == 5
 
 
-def test_urls(spark):
+@pytest.mark.parametrize("in_row", [urls.IN_ROW, 0])
+def test_urls(spark, monkeypatch, in_row):
+    monkeypatch.setattr(urls, "IN_ROW", in_row)  # rules looked up in the row, and through exploded rows
     some = ["http://Example.com/en/x", "https://www.example.com/en/1?q", "http://a.www.example.com/en/", "http://notexample.com/en/x", "http://x.net/es/", "http://x.net/es", "net/es/", None, "", "http://com", "ftp://com/", "http://x.com:80/", "a://b://c/d", "http://" + "a." * 3000 + "com/x", "http://x.org/"]
     got = {r["page_id"]: (r["rule"], r["verdict"]) for r in urls.judge_urls(spark.createDataFrame(list(enumerate(some)), "page_id long, url string")).collect()}
     assert [got[i] for i in range(len(some))] == [
