@@ -2,7 +2,7 @@
 
 A segment holds the ids of whole documents. Level 0 has the low bits of every id; an id that needs more has a set bit
 in the level's bitmap, and its next bits stand in level 1 at the rank of that bit; and so on. A rank is read from the
-directory (ones before each block of 512 bits) and one partial block, so any token is reached without decoding others.
+directory (ones before each block of 512 bits) and one partial block, so any token is reached without decoding others. `tokens_at` and `Store` find a token by its place among all ids.
 """
 
 from __future__ import annotations
@@ -17,7 +17,7 @@ import public_tokenizers
 import pyarrow as pa
 import regex
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import arrow_bounded, chunks, shared_folder
@@ -26,11 +26,14 @@ from .pieces import PieceEncoder, encoded, joined
 MAGIC, BITS, BLOCK = b"PFDA", 8, 512
 #: Ids after which a writer closes a segment, at the end of a document.
 SEGMENT_IDS = 4_000_000
-_HEAD = struct.Struct("<4sBBHQQQ")  # magic, bits, levels, 0, ids before in the shard, ids, documents
+_HEAD = struct.Struct("<4sBBHQQQQ")  # magic, bits, levels, 0, ids before in the shard, ids, documents, of them without an id
+#: Ids that a bucket of places spans: lookups meet segments by bucket.
+BUCKET = 1 << 22
 
 
-def pack(ids: np.ndarray, doc_ids: np.ndarray, starts: np.ndarray, before: int = 0, bits: int = BITS) -> bytes:
-    """A segment. ids: uint32; doc_ids: int64 of each document; starts: where each begins, and the end."""
+def pack(ids: np.ndarray, doc_ids: np.ndarray, starts: np.ndarray, before: int = 0, bits: int = BITS, nameless: int = 0) -> bytes:
+    """A segment. ids: uint32; doc_ids: int64 of each document, the first `nameless` of which have none; starts: where
+    each begins, and the end."""
     levels, rest = [], ids.astype(np.uint32)
     while True:
         more = (rest >> np.uint32(bits)) > 0
@@ -45,7 +48,7 @@ def pack(ids: np.ndarray, doc_ids: np.ndarray, starts: np.ndarray, before: int =
         rest = rest[more] >> np.uint32(bits)
         if not len(rest):
             break
-    parts = [_HEAD.pack(MAGIC, bits, len(levels), 0, before, len(ids), len(doc_ids)), doc_ids.astype("<i8").tobytes(), starts.astype("<u8").tobytes()]
+    parts = [_HEAD.pack(MAGIC, bits, len(levels), 0, before, len(ids), len(doc_ids), nameless), doc_ids.astype("<i8").tobytes(), starts.astype("<u8").tobytes()]
     parts += [struct.pack("<QQQ", *(x.nbytes for x in level)) for level in levels]
     for level in levels:
         parts += [x.tobytes() for x in level]
@@ -56,7 +59,7 @@ class Segment:
     """Reader of a segment in a buffer; nothing is decoded until asked for."""
 
     def __init__(self, data: bytes | memoryview) -> None:
-        magic, self.bits, n_levels, _, self.before, self.n_ids, self.n_docs = _HEAD.unpack_from(data)
+        magic, self.bits, n_levels, _, self.before, self.n_ids, self.n_docs, self.nameless = _HEAD.unpack_from(data)
         if magic != MAGIC:
             raise ValueError("not a token segment")
         at = _HEAD.size
@@ -102,6 +105,7 @@ class Segment:
         return out
 
     def document(self, k: int) -> np.ndarray:
+        """Ids of a document, found by its start; no other document's are read."""
         return self.slice(int(self.starts[k]), int(self.starts[k + 1]))
 
 
@@ -174,26 +178,31 @@ def _encoder(vocabulary: str) -> LibraryEncoder:
     return _ENCODERS[vocabulary]
 
 
+_SEGMENTS = "shard long, segment long, first_doc long, n_ids long, payload binary"
+
+
 def write_tokens(docs: DataFrame, path: str | None = None, vocabulary: str = "byte_bpe_50k.json", end_id: int = 0, segment_ids: int = SEGMENT_IDS) -> str:
     """Write every document's ids and end_id, documents in ascending doc_id order, as segments; gives the folder.
 
-    Documents are dealt by ranges of doc_id (sampled by Spark), sorted, and cut into segments at document ends, so a
-    task holds one segment. The folder is a Parquet table (shard, segment, first_doc, n_ids, payload), which Spark's
-    commit makes safe against lost executors and which any of its stores can hold. Null texts count as empty; null
-    ids go first and are written as the smallest long; repeated rows stay, ordered by text.
+    Documents are dealt by ranges of (doc_id, hash of text, place in the input), as sampled by Spark, so that an id that
+    repeats a great deal is split too; they are sorted, and cut into segments at document ends, so a task holds one
+    segment. The folder is a Parquet table (shard, segment, first_doc, n_ids, payload), not compressed, with a segment
+    in a row, which Spark's commit makes safe against lost executors and which any of its stores can hold. Null texts
+    count as empty; null ids go first and are counted in the segment's head; repeated rows stay, in order of their
+    texts' hashes.
     """
     path = path or shared_folder(docs.sparkSession, "tokens")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, shard, number, before = _encoder(vocabulary), TaskContext.get().partitionId(), 0, 0
-        ids, names, sizes, held = [], [], [], 0
+        ids, names, sizes, held, nameless = [], [], [], 0, 0
 
         def close() -> pa.RecordBatch:
-            nonlocal number, before, held
+            nonlocal number, before, held, nameless
             starts = np.concatenate([[0], np.cumsum(np.concatenate(sizes))])
             flat, docs_ = np.concatenate(ids), np.concatenate(names)
-            row = pa.RecordBatch.from_arrays([pa.array([shard]), pa.array([number]), pa.array([int(docs_[0])]), pa.array([len(flat)]), pa.array([pack(flat, docs_, starts, before)], pa.binary())], schema=out)
-            number, before, held = number + 1, before + len(flat), 0
+            row = pa.RecordBatch.from_arrays([pa.array([shard]), pa.array([number]), pa.array([int(docs_[0])]), pa.array([len(flat)]), pa.array([pack(flat, docs_, starts, before, nameless=nameless)], pa.binary())], schema=out)
+            number, before, held, nameless = number + 1, before + len(flat), 0, 0
             ids.clear(), names.clear(), sizes.clear()
             return row
 
@@ -204,7 +213,8 @@ def write_tokens(docs: DataFrame, path: str | None = None, vocabulary: str = "by
                 at = at // 4
                 ids.append(np.insert(flat[: 4 * at[-1]].view("<u4"), at[1:], np.uint32(end_id)))
                 sizes.append(np.diff(at) + 1)
-                names.append(part.column("doc_id").fill_null(-(2**63)).to_numpy(zero_copy_only=False))
+                names.append(part.column("doc_id").fill_null(0).to_numpy(zero_copy_only=False))
+                nameless += part.column("doc_id").null_count
                 held += len(ids[-1])
                 if held >= segment_ids:
                     yield close()
@@ -212,36 +222,90 @@ def write_tokens(docs: DataFrame, path: str | None = None, vocabulary: str = "by
             yield close()
 
     out = pa.schema([("shard", pa.int64()), ("segment", pa.int64()), ("first_doc", pa.int64()), ("n_ids", pa.int64()), ("payload", pa.binary())])
-    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    dealt = own.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
-    arrow_bounded(dealt).mapInArrow(run, "shard long, segment long, first_doc long, n_ids long, payload binary").write.parquet(path)
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("h"), F.monotonically_increasing_id().alias("at"))
+    dealt = own.repartitionByRange("doc_id", "h", "at").sortWithinPartitions("doc_id", "h", "at").select("doc_id", "text")
+    arrow_bounded(dealt).mapInArrow(run, _SEGMENTS).write.option("compression", "none").option("parquet.enable.dictionary", "false").parquet(path)
     return path
 
 
+def _shard_starts(segments: DataFrame) -> tuple[dict[int, int], int]:
+    """Place of each shard's first id, and the number of ids: one total for each partition of the writer is collected."""
+    starts, total = {}, 0
+    for shard, n in sorted((r["shard"], r["n"]) for r in segments.groupBy("shard").agg(F.sum("n_ids").alias("n")).collect()):
+        starts[shard], total = total, total + n
+    return starts, total
+
+
 def read_documents(spark, path: str) -> DataFrame:
-    """doc_id, start, n_tokens, ids_crc32 of every document, read from the segments.
+    """doc_id, start, n_tokens, ids_crc32 of every document, each reached by its start in its segment.
 
     Only one total for each shard reaches the driver (8 bytes for each partition of the writer) to place the shards.
     """
-    files = spark.read.schema("shard long, segment long, first_doc long, n_ids long, payload binary").parquet(path)
-    totals = sorted((r["shard"], r["n"]) for r in files.groupBy("shard").agg(F.sum("n_ids").alias("n")).collect())
-    offsets, total = {}, 0
-    for shard, n in totals:
-        offsets[shard], total = total, total + n
+    files = spark.read.schema(_SEGMENTS).parquet(path)
+    offsets, _ = _shard_starts(files)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for shard, payload in zip(batch.column("shard").to_pylist(), batch.column("payload"), strict=True):
                 part = Segment(payload.as_buffer())
-                flat = part.slice(0, part.n_ids).astype("<u4")
-                view, starts = memoryview(flat).cast("B"), part.starts.astype(np.int64)
-                crc = [zlib.crc32(view[4 * a : 4 * b]) for a, b in zip(starts[:-1].tolist(), starts[1:].tolist(), strict=True)]
-                doc_ids = pa.array(part.doc_ids, mask=part.doc_ids == -(2**63))
+                starts = part.starts.astype(np.int64)
+                crc = [zlib.crc32(part.document(k).astype("<u4", copy=False)) for k in range(part.n_docs)]
+                doc_ids = pa.array(part.doc_ids, mask=np.arange(part.n_docs) < part.nameless)
                 yield pa.RecordBatch.from_arrays([doc_ids, pa.array(starts[:-1] + part.before + offsets[shard]), pa.array(np.diff(starts)), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
     return arrow_bounded(files.select("shard", "payload")).mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
+def tokens_at(spark, path: str, places: DataFrame) -> DataFrame:
+    """place, token for each row of places (place: among the ids of all documents, from 0); token is null where there is
+    none. Places meet segments in an equi-join by bucket, never a broadcast of either; a segment is opened once for all
+    places in it, and each token is read by its own rank steps."""
+    files = spark.read.schema(_SEGMENTS).parquet(path)
+    offsets, _ = _shard_starts(files)
+    shard_start = F.coalesce(F.element_at(F.create_map(*[F.lit(x) for p in (offsets or {-1: 0}).items() for x in p]), F.col("shard")), F.lit(0))
+    by_shard = Window.partitionBy("shard").orderBy("segment").rowsBetween(Window.unboundedPreceding, -1)
+    index = files.select("shard", "segment", "n_ids").withColumn("first", (shard_start + F.coalesce(F.sum("n_ids").over(by_shard), F.lit(0))).cast("long")).filter("n_ids > 0")
+    index = index.withColumn("bucket", F.explode(F.sequence(F.floor(F.col("first") / BUCKET), F.floor((F.col("first") + F.col("n_ids") - 1) / BUCKET))))
+    asked = places.select(F.col("place").cast("long").alias("place"), F.monotonically_increasing_id().alias("row"), F.floor(F.col("place") / BUCKET).alias("bucket"))
+    met = asked.join(index, (asked["bucket"] == index["bucket"]) & (F.col("place") >= F.col("first")) & (F.col("place") < F.col("first") + F.col("n_ids")), "left")
+    wanted = met.filter("segment IS NOT NULL").groupBy("shard", "segment").agg(F.collect_set(F.col("place") - F.col("first")).alias("at"), F.first("first").alias("first"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for first, at, payload in zip(batch.column("first").to_pylist(), batch.column("at").to_pylist(), batch.column("payload"), strict=True):
+                part = Segment(payload.as_buffer())
+                yield pa.RecordBatch.from_arrays([pa.array([first + k for k in at], pa.int64()), pa.array([part[k] for k in at], pa.int64())], ["found", "token"])
+
+    found = wanted.join(files.select("shard", "segment", "payload"), ["shard", "segment"]).select("first", "at", "payload").mapInArrow(run, "found long, token long")
+    return places.select(F.col("place").cast("long").alias("place")).join(found, F.col("place") == F.col("found"), "left").select("place", "token")
+
+
+class Store:
+    """The ids of exported files as one sequence, each file mapped into memory: reading a token or a document touches the
+    bytes that its codes stand in, and nothing is decompressed or decoded besides."""
+
+    def __init__(self, folder: str) -> None:
+        self.files = [Segment(memoryview(np.memmap(f, np.uint8, "r"))) for f in sorted(Path(folder).glob("*.ids"))]
+        self.firsts = np.concatenate([[0], np.cumsum([f.n_ids for f in self.files], dtype=np.int64)]).astype(np.int64)
+
+    def __len__(self) -> int:
+        return int(self.firsts[-1])
+
+    def __getitem__(self, place: int) -> int:
+        if not 0 <= place < len(self):
+            raise IndexError(place)
+        k = int(np.searchsorted(self.firsts, place, "right")) - 1
+        return self.files[k][place - int(self.firsts[k])]
+
+    def document(self, doc_id: int) -> np.ndarray:
+        """Ids of the first document of an id, its end id among them, by binary search in the files' names."""
+        for f in self.files:
+            k = f.nameless + int(np.searchsorted(f.doc_ids[f.nameless :], doc_id))
+            if k < f.n_docs and f.doc_ids[k] == doc_id:
+                return f.document(k)
+        raise KeyError(doc_id)
+
+
 def export_files(spark, path: str, folder: str) -> int:
     """Write each segment as a file of its own under a folder that all executors mount; gives their number.
 

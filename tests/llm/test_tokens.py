@@ -121,7 +121,7 @@ def test_segments_give_every_id(bits):
         part[len(ids)]
 
 
-def test_store_round_trip(spark, tmp_path):
+def test_store_round_trip(spark, tmp_path, monkeypatch):
     library, some = Tokenizer.from_file(public_tokenizers.path(BPE)), [*ODD, *texts(300, 4), None]
     docs = spark.createDataFrame([(i * 7 % 1009, t, 0) for i, t in enumerate(some)], "doc_id long, text string, shard int").repartition(5)
     path = store.write_tokens(docs, segment_ids=500)
@@ -134,5 +134,36 @@ def test_store_round_trip(spark, tmp_path):
     n = store.export_files(spark, path, f"{tmp_path}/files")
     files = sorted((tmp_path / "files").glob("*.ids"))
     assert len(files) == n > 1 and sum(store.Segment(f.read_bytes()).n_ids for f in files) == at
+    # any token by its place among all, through Spark and through files mapped into memory
+    every = np.concatenate([[*library.encode(t, add_special_tokens=False).ids, 0] for _, t in sorted((i * 7 % 1009, t or "") for i, t in enumerate(some))])
+    monkeypatch.setattr(store, "BUCKET", 700)
+    rng = random.Random(8)
+    places = [0, at - 1, at, at + 10**9, 5, 5, *(rng.randrange(at) for _ in range(60))]
+    rows = store.tokens_at(spark, path, spark.createDataFrame([(p,) for p in places], "place long")).collect()
+    assert sorted((r["place"], r["token"]) for r in rows if r["token"] is not None) == sorted((p, int(every[p])) for p in places if p < at)
+    assert len(rows) == len(places) and sum(r["token"] is None for r in rows) == 2
+    mapped = store.Store(f"{tmp_path}/files")
+    assert len(mapped) == at and [mapped[p] for p in places if p < at] == [int(every[p]) for p in places if p < at]
+    assert mapped.document(7).tolist() == [*library.encode(some[1], add_special_tokens=False).ids, 0]
+    with pytest.raises(KeyError):
+        mapped.document(10**6)
     empty = store.write_tokens(docs.limit(0))
     assert store.read_documents(spark, empty).count() == 0
+
+
+def test_store_of_odd_ids(spark):
+    """The smallest long is an id like others, null ids go first, and an id of a third of the rows is split."""
+    rows = [(None, "a b"), (-(2**63), "c d"), (None, None), (3, "x"), *[(5, f"t {k % 7}") for k in range(400)]]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")  # which would put so few rows together again
+    try:
+        path = store.write_tokens(docs, segment_ids=50)
+    finally:
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    got = sorted(store.read_documents(spark, path).collect(), key=lambda r: r["start"])
+    assert [r["doc_id"] for r in got] == [None, None, -(2**63), 3, *[5] * 400]
+    assert spark.read.parquet(path).select("shard").distinct().count() > 2
+    at = 0
+    for r in got:
+        assert r["start"] == at
+        at += r["n_tokens"]
