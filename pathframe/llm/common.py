@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
-import tempfile
-from collections.abc import Callable, Iterator
+import uuid
+from collections.abc import Callable, Iterable, Iterator
+from contextlib import contextmanager
+from contextvars import ContextVar
 
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.shared import checkpointed, shared_top
+
 #: A-Z and a-z, the only letters that the contracts fold.
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -58,11 +62,10 @@ def ascii_lower(text: Column) -> Column:
 
 
 def arrow_bounded(df: DataFrame, most_bytes: int = 8 << 20) -> DataFrame:
-    """df as it is, with Arrow batches of its session bounded in bytes, not rows alone, so that long texts don't add up
-    (a setting that sessions may change at any time; one that is set already is left)."""
+    """df as it is, with Arrow batches of its session bounded in bytes, not rows alone, so that long texts don't add up.
+    The bound is a setting that sessions may change at any time; a session that has set one keeps it, whatever it is."""
     key = "spark.sql.execution.arrow.maxBytesPerBatch"
-    held = str(df.sparkSession.conf.get(key)).lower().rstrip("b")
-    if held.isdigit() and int(held) >= 2**26:  # the default
+    if not df.sparkSession._jsparkSession.sessionState().conf().contains(key):
         df.sparkSession.conf.set(key, str(most_bytes))
     return df
 
@@ -81,22 +84,17 @@ def chunks(batch: pa.RecordBatch, column: str, most_bytes: int = 4 << 20) -> Ite
     pa.default_memory_pool().release_unused()  # a worker that waits for its next batch holds no spare memory
 
 
-def settle(df: DataFrame) -> DataFrame:
-    """Checkpoint in the cluster's shared folder; a folder of our own only where the session names none."""
-    sc = df.sparkSession.sparkContext
-    if not df.sparkSession.conf.get("spark.checkpoint.dir", None) and sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
-    df = df.checkpoint()
-    # new column identities, so that a join with what df came from doesn't take over what its plan knew of them
-    return df.select(*[F.col(c).alias(c) for c in df.columns])
+settle = checkpointed
+#: Folders written inside `writing()`, by nesting; none outside of it.
+_WRITTEN: ContextVar[list[str] | None] = ContextVar("written", default=None)
 
 
 def shared_folder(spark: SparkSession, name: str) -> str:
     """A new folder beside the session's checkpoints, for tables that executors write and read."""
-    import uuid
-
-    top = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="shared-")
-    return f"{top.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    path = f"{shared_top(spark)}/{name}-{uuid.uuid4().hex}"
+    if (held := _WRITTEN.get()) is not None:
+        held.append(path)
+    return path
 
 
 def stored(df: DataFrame, name: str) -> DataFrame:
@@ -104,3 +102,21 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     path = shared_folder(df.sparkSession, name)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+@contextmanager
+def writing() -> Iterator[list[str]]:
+    """The folders that are written inside, for removed() when what is read from them is written elsewhere."""
+    held: list[str] = []
+    before = _WRITTEN.set(held)
+    try:
+        yield held
+    finally:
+        _WRITTEN.reset(before)
+
+
+def removed(spark: SparkSession, folders: Iterable[str]) -> None:
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    for folder in folders:
+        path = jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(conf).delete(path, True)

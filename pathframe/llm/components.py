@@ -8,13 +8,23 @@ from pyspark.sql import functions as F
 from .common import settle
 
 
+#: Parts that a node's neighbours are dealt to, so that no task holds all of a node that a third of the edges end in.
+PARTS = 1024
+
+
 def _stars(edges: DataFrame, large: bool) -> DataFrame:
-    """One contraction: every node's larger (large) or smaller neighbours are tied to its smallest neighbour or itself."""
+    """One contraction: every node's larger (large) or smaller neighbours are tied to its smallest neighbour or itself.
+
+    Least neighbours are found by part, then by node over at most PARTS rows, and go back to the parts: edges are never
+    dealt by a node alone.
+    """
     pairs = edges.select("u", "v")
     if large:
         pairs = pairs.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    least = pairs.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    tied = pairs.join(least, "u")
+    pairs = pairs.withColumn("part", F.pmod(F.xxhash64("v"), F.lit(PARTS)))
+    by_part = pairs.groupBy("u", "part").agg(F.min("v").alias("m"))
+    least = by_part.groupBy("u").agg(F.min("m").alias("m")).select("u", F.least("u", "m").alias("m"))
+    tied = pairs.join(by_part.select("u", "part").join(least, "u"), ["u", "part"])
     if large:
         out = tied.filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
     else:

@@ -15,6 +15,7 @@ pair shares no band with probability 4e-7, and falls below the floor with 1e-7.
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -22,12 +23,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_bounded, chunks, stored
+from .common import arrow_bounded, chunks, free_name, stored
 from .components import components
 
 #: Words of a shingle; link when 100 * shared >= LINK * united.
 WORDS, LINK = 5, 85
 BANDS, ROWS, MINIMA = 25, 5, 128
+#: Bytes from which on a word is hashed by a digest.
+LONG_WORD = 64
 #: Share of equal minima that a candidate's corrected estimate must reach.
 FLOOR = 0.65
 #: Rows of a group or cluster, and shingles of a cluster, that one block holds.
@@ -82,6 +85,8 @@ def shingles(texts: pa.Array) -> list[np.ndarray]:
     sums = np.zeros(len(data) + 1, _U)
     np.cumsum(_BYTE[data] * _powers(_STEP, len(data)), out=sums[1:])
     words = _mix((sums[ends] - sums[starts]) * _powers(_BACK, len(data))[starts])
+    for k in np.flatnonzero(ends - starts > LONG_WORD).tolist():  # sums modulo 2^64 part long words of a regular build badly
+        words[k] = int.from_bytes(hashlib.blake2b(data[starts[k] : ends[k]].tobytes().lower(), digest_size=8).digest(), "little")
     first = np.searchsorted(starts, offsets)
     out = []
     scale = _powers(_STEP, WORDS)
@@ -316,6 +321,7 @@ def find_near_copies(docs: DataFrame) -> DataFrame:
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """The rows of docs that represent their groups, with their columns; of rows that repeat a doc_id, one stays."""
-    kept = find_near_copies(docs).filter("kept AND doc_id IS NOT NULL").select(F.col("doc_id").alias("__kept")).distinct()
-    rows = docs.join(kept, F.col("doc_id") == F.col("__kept"), "left_semi").dropDuplicates(["doc_id"])
+    name = free_name(docs, "kept_")
+    kept = find_near_copies(docs).filter("kept AND doc_id IS NOT NULL").select(F.col("doc_id").alias(name)).distinct()
+    rows = docs.join(kept, F.col("doc_id") == F.col(name), "left_semi").dropDuplicates(["doc_id"])
     return rows.unionByName(docs.filter("doc_id IS NULL"))
