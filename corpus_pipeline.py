@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from pathframe.llm import decontaminate, minhash, private, quality, transducer
-from pathframe.llm.common import stored, table
+from pathframe.llm.common import removed, stored, table, writing
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -46,7 +46,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    """Rows of the last stage over `documents`. Each stage's table is removed when the next one's is written, with the
+    tables that the stage wrote on its way; what the last stage reads stays until the shared folder is cleared."""
+    docs, before = table(spark, sf_dir, "documents"), []
     for name, stage in STAGES[:-1]:
-        docs = stored(stage(spark, docs, sf_dir), name)
+        with writing() as made:
+            docs = stored(stage(spark, docs, sf_dir), name)
+        removed(spark, [*before, *made[:-1]])
+        before = made[-1:]
     return STAGES[-1][1](spark, docs, sf_dir)
