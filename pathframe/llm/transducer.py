@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+import re
 from array import array
 from collections.abc import Iterable, Iterator
 
@@ -190,60 +191,116 @@ def shared_starts(pieces: list[bytes]) -> list[int]:
     return [0, *np.minimum(same, np.minimum(sizes[1:], sizes[:-1])).tolist()]
 
 
+def _utf8_steps() -> tuple[np.ndarray, list[tuple[int, int, int]]]:
+    """STEPS[state, byte] -> state of the automaton of UTF-8. State 0 is between characters; a state is the number of
+    continuation bytes due and the range of the next one; the last state is that of bytes that no character can hold."""
+    leads = {range(0xC2, 0xE0): (1, 0x80, 0xBF), range(0xE0, 0xE1): (2, 0xA0, 0xBF), range(0xE1, 0xED): (2, 0x80, 0xBF), range(0xED, 0xEE): (2, 0x80, 0x9F),
+             range(0xEE, 0xF0): (2, 0x80, 0xBF), range(0xF0, 0xF1): (3, 0x90, 0xBF), range(0xF1, 0xF4): (3, 0x80, 0xBF), range(0xF4, 0xF5): (3, 0x80, 0x8F)}
+    states = [(0, 0, 0), *sorted({*leads.values(), (1, 0x80, 0xBF), (2, 0x80, 0xBF)})]
+    steps = np.full((len(states) + 1, 256), len(states), np.uint8)
+    steps[0, :0x80] = 0
+    for bytes_, state in leads.items():
+        steps[0, bytes_.start : bytes_.stop] = states.index(state)
+    for k, (due, low, high) in enumerate(states[1:], 1):
+        steps[k, low : high + 1] = states.index((due - 1, 0x80, 0xBF)) if due > 1 else 0
+    return steps, states
+
+
+STEPS, _STATES = _utf8_steps()
+INVALID = len(_STATES)
+_ROWS = [row.tolist() for row in STEPS]
+_NOT_ASCII = re.compile(rb"[\x80-\xff]")
+
+
 class Utf8Stream:
     """Incremental UTF-8: feed bytes cut anywhere, get text; only an unfinished character waits (3 bytes at most).
 
-    The automaton's state is the number of continuation bytes still due and the range that the next may have; bytes
-    that no character can hold give the replacement character, one for each maximal valid start, as codecs do.
+    The automaton steps through every byte that isn't ASCII and gathers the character's bits; bytes that no character
+    can hold give the replacement character, one for each longest valid start.
     """
 
     def __init__(self) -> None:
-        self.wait = b""
-
-    @staticmethod
-    def due(lead: int) -> tuple[int, int, int]:
-        """(continuation bytes, lowest, highest first one) after a leading byte; (-1, 0, 0) where none may lead."""
-        if lead < 0x80:
-            return 0, 0, 0
-        if 0xC2 <= lead <= 0xDF:
-            return 1, 0x80, 0xBF
-        if 0xE0 <= lead <= 0xEF:
-            return 2, 0xA0 if lead == 0xE0 else 0x80, 0x9F if lead == 0xED else 0xBF
-        if 0xF0 <= lead <= 0xF4:
-            return 3, 0x90 if lead == 0xF0 else 0x80, 0x8F if lead == 0xF4 else 0xBF
-        return -1, 0, 0
-
-    def _tail(self, data: bytes) -> int:
-        """Bytes at the end that begin a character and don't finish it."""
-        for back in range(1, min(3, len(data)) + 1):
-            n, low, high = self.due(data[-back])
-            if n > 0:
-                rest = data[len(data) - back + 1 :]
-                fits = all((low if i == 0 else 0x80) <= x <= (high if i == 0 else 0xBF) for i, x in enumerate(rest))
-                return back if back <= n and fits else 0
-            if n == 0:
-                return 0
-        return 0
+        self.state, self.bits, self.wait = 0, 0, b""
 
     def feed(self, data: bytes) -> str:
-        data = self.wait + data
-        k = self._tail(data)
-        self.wait = data[len(data) - k :]
-        return data[: len(data) - k].decode("utf-8", "replace")
+        out, at, end, state, bits = [], 0, len(data), self.state, self.bits
+        began = -len(self.wait) if state else 0  # where the unfinished character begins
+        while at < end:
+            byte = data[at]
+            if state == 0:
+                if byte < 0x80:  # a run of ASCII
+                    stop = m.start() if (m := _NOT_ASCII.search(data, at)) else end
+                    out.append(data[at:stop].decode("ascii"))
+                    at = stop
+                    continue
+                state, began = _ROWS[0][byte], at
+                at += 1
+                if state == INVALID:
+                    out.append("\ufffd")
+                    state = 0
+                else:
+                    bits = byte & (0x1F if byte < 0xE0 else 0x0F if byte < 0xF0 else 0x07)
+                continue
+            after = _ROWS[state][byte]
+            if after == INVALID:  # the byte may begin a character of its own
+                out.append("\ufffd")
+                state = 0
+                continue
+            bits, state = bits << 6 | byte & 0x3F, after
+            at += 1
+            if state == 0:
+                out.append(chr(bits))
+        self.wait = (self.wait + data if began < 0 else data[began:]) if state else b""
+        self.state, self.bits = state, bits
+        return "".join(out)
 
     def close(self) -> str:
-        rest, self.wait = self.wait, b""
-        return rest.decode("utf-8", "replace")
+        unfinished, self.state, self.bits, self.wait = self.state, 0, 0, b""
+        return "\ufffd" if unfinished else ""
+
+
+class TokenDecoder:
+    """The automaton lifted to tokens: where each token's bytes lead from each state, so that a stream of ids is decoded
+    a token at a step, and most of them, which begin and end between characters, all at once."""
+
+    def __init__(self, bytes_of: list[bytes]) -> None:
+        self.bytes = pa.array(bytes_of, pa.large_binary())
+        flat, sizes = np.frombuffer(b"".join(bytes_of), np.uint8), np.array([len(b) for b in bytes_of])
+        starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+        self.leads = np.repeat(np.arange(INVALID + 1, dtype=np.uint8)[:, None], len(sizes), axis=1)  # [state, token] -> state
+        for k in range(sizes.max(initial=0)):
+            on = np.flatnonzero(sizes > k)
+            self.leads[:, on] = STEPS[self.leads[:, on], flat[starts[on] + k][None, :]]
+
+    def decode(self, ids: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """All bytes of the texts' ids, where each text's begin, and whether the automaton takes each text as UTF-8."""
+        data, data_at = joined(self.bytes.take(pa.array(ids)), at)
+        good = np.ones(len(at) - 1, bool)
+        open_ = np.flatnonzero(self.leads[0][ids] != 0)  # tokens that don't begin and end between characters
+        if len(open_):
+            rows, tokens = np.searchsorted(at, open_, "right") - 1, ids[open_]
+            last_row, state, next_place = -1, 0, 0
+            for place, row, token in zip(open_.tolist(), rows.tolist(), tokens.tolist(), strict=True):
+                if row != last_row:
+                    if state and last_row >= 0:
+                        good[last_row] = False
+                    last_row, state = row, 0
+                elif state and place != next_place:  # a whole token came while a character was unfinished
+                    state = INVALID
+                state, next_place = int(self.leads[state, token]), place + 1
+            if state:
+                good[last_row] = False
+        return data, data_at, good
 
 
 class Codec(PieceEncoder):
-    """Encodes and decodes texts in batches: pre-tokens through the transducer once each, ids back by a byte table."""
+    """Encodes and decodes texts in batches: pre-tokens through the transducer once each, ids back through the automaton."""
 
     def __init__(self, ranks_file: str, pattern: str) -> None:
         super().__init__()
         ranks = read_ranks(ranks_file)
         self.machine, self.pattern = Transducer(ranks), regex.compile(pattern)
-        self.table = pa.array([self.machine.bytes_of.get(i, b"") for i in range(max(ranks.values()) + 1)], pa.large_binary())
+        self.decoder = TokenDecoder([self.machine.bytes_of.get(i, b"") for i in range(max(ranks.values()) + 1)])
 
     def fresh(self, pieces: list[str]) -> list[bytes]:
         order = sorted(range(len(pieces)), key=pieces.__getitem__)
@@ -266,9 +323,6 @@ class Codec(PieceEncoder):
         flat, at = joined(values, starts)
         return flat[: at[-1]].view("<u4"), at // 4
 
-    def decode_bytes(self, ids: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        return joined(self.table.take(pa.array(ids)), at)
-
     def decode_stream(self, ids: Iterable[int]) -> Iterator[str]:
         """Text of a stream of ids, token by token."""
         stream = Utf8Stream()
@@ -290,32 +344,32 @@ def codec(vocabulary: str, pattern: str) -> Codec:
 
 
 def encode_texts(docs: DataFrame, vocabulary: str = "byte_bpe_50k.tiktoken", pattern: str = public_tokenizers.PATTERN, with_ids: bool = False, carry: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256 (and ids, if asked; and the carried columns) for each row.
+    """doc_id, n_tokens, ids_sha256, decoded_sha256, valid_utf8 (and ids, if asked; and the carried columns) for each row.
 
-    ids_sha256 is over the decimal ids joined by spaces, decoded_sha256 over the bytes that the ids decode to. A null
-    text counts as empty: no ids, both hashes those of no bytes. Repeated rows and null ids stay; other columns are
+    ids_sha256 is over the decimal ids joined by spaces, decoded_sha256 over the bytes that the ids decode to, and
+    valid_utf8 is whether the decoder's automaton, token by token, ends each of their characters. A null text counts as empty: no ids, both hashes those of no bytes. Repeated rows and null ids stay; other columns are
     ignored. No shuffle; memory follows a slice of texts and the bounded memo.
     """
     keep = ["doc_id", *carry]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(vocabulary, pattern)
-        top = len(own.table)
+        top = len(own.decoder.bytes)
         if top not in _DIGITS:
             _DIGITS[top] = pa.array([b"%d " % i for i in range(top)], pa.large_binary())
         for batch in batches:
             for part in chunks(batch, "text"):
                 ids, at = own.encode(part.column("text"))
-                text, text_at = own.decode_bytes(ids, at)
+                text, text_at, good = own.decoder.decode(ids, at)
                 plain, plain_at = joined(_DIGITS[top].take(pa.array(ids)), at)
                 text, plain = memoryview(text), memoryview(plain)
                 ids_sha = [hashlib.sha256(plain[a : max(a, b - 1)]).hexdigest() for a, b in zip(plain_at[:-1].tolist(), plain_at[1:].tolist(), strict=True)]
                 text_sha = [hashlib.sha256(text[a:b]).hexdigest() for a, b in zip(text_at[:-1].tolist(), text_at[1:].tolist(), strict=True)]
-                columns = [part.column(k) for k in keep] + [pa.array(np.diff(at)), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())]
+                columns = [part.column(k) for k in keep] + [pa.array(np.diff(at)), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string()), pa.array(good)]
                 if with_ids:
                     columns.append(pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(ids.astype(np.int32))))
                 yield pa.RecordBatch.from_arrays(columns, names)
 
-    names = [*keep, "n_tokens", "ids_sha256", "decoded_sha256", *["ids"] * with_ids]
+    names = [*keep, "n_tokens", "ids_sha256", "decoded_sha256", "valid_utf8", *["ids"] * with_ids]
     kept = ", ".join(f"`{k}` {docs.schema[k].dataType.simpleString()}" for k in keep)
-    return arrow_bounded(docs.select(*keep, "text")).mapInArrow(run, f"{kept}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids)
+    return arrow_bounded(docs.select(*keep, "text")).mapInArrow(run, f"{kept}, n_tokens long, ids_sha256 string, decoded_sha256 string, valid_utf8 boolean" + ", ids array<int>" * with_ids)

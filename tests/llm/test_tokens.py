@@ -41,7 +41,8 @@ def test_transducer_agrees_with_the_library(rank_library):
     some = ODD + texts(1500, 2)
     own = transducer.codec(RANKS, public_tokenizers.PATTERN)
     ids, at = own.encode(pa.array(some))
-    data, data_at = own.decode_bytes(ids, at)
+    data, data_at, good = own.decoder.decode(ids, at)
+    assert good.all()
     for k, t in enumerate(some):
         assert list(ids[at[k] : at[k + 1]]) == rank_library.encode_ordinary(t)
         assert bytes(data[data_at[k] : data_at[k + 1]]) == t.encode()
@@ -81,6 +82,23 @@ def test_stream_decodes_as_codecs_do(data, cuts):
     assert out + stream.feed(data[last:]) + stream.close() == data.decode("utf-8", "replace")
 
 
+@settings(max_examples=150, deadline=None)
+@given(st.lists(st.lists(st.integers(0, 400), max_size=12), max_size=4))
+def test_tokens_in_any_order_are_told_from_text(rows):
+    """The automaton over tokens says what a codec says of their bytes, valid or not."""
+    decoder = transducer.codec(RANKS, public_tokenizers.PATTERN).decoder
+    at = np.concatenate([[0], np.cumsum([len(r) for r in rows], dtype=np.int64)]).astype(np.int64)
+    ids = np.array([i for r in rows for i in r], np.uint32)
+    data, data_at, good = decoder.decode(ids, at)
+    for k in range(len(rows)):
+        own = bytes(data[data_at[k] : data_at[k + 1]])
+        try:
+            own.decode("utf-8")
+            assert good[k]
+        except UnicodeDecodeError:
+            assert not good[k]
+
+
 def frame(spark, some):
     return spark.createDataFrame([(i, t, "x", 1) for i, t in enumerate(some)] + [(None, "null id", "x", 1), (0, some[0], "x", 1)], "doc_id long, text string, n_tokens string, start int")
 
@@ -94,7 +112,7 @@ def test_encode_query(spark, rank_library):
         ids = rank_library.encode_ordinary(t)
         assert (r["n_tokens"], r["ids"]) == (len(ids), ids)
         assert r["ids_sha256"] == hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest()
-        assert r["decoded_sha256"] == hashlib.sha256(t.encode()).hexdigest()
+        assert r["decoded_sha256"] == hashlib.sha256(t.encode()).hexdigest() and r["valid_utf8"]
 
 
 def test_counts_query(spark):
