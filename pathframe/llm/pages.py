@@ -13,6 +13,7 @@ from __future__ import annotations
 import html as entities
 import re
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -30,7 +31,7 @@ _IN_HEAD = frozenset("base basefont bgsound link meta title noscript noframes st
 #: Elements that hold nothing, and elements that a new one of the same group closes.
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 _CLOSES = {"p": {"p"}, "li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}}
-_PART = re.compile(r"<!--.*?(?:-->|$)|<![^>]*(?:>|$)|<\?[^>]*(?:>|$)|<(/?)([A-Za-z][A-Za-z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|$)", re.S)
+_PART = re.compile(r"<!--.*?(?:-->|$)|<![^>]*(?:>|$)|<\?[^>]*(?:>|$)|<(/?)([A-Za-z][A-Za-z0-9:-]*)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+)(?:>|$)", re.S)
 _NAMES = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _WORD = re.compile(r"[^\W\d_]+")
 _INLINE_SPACE = frozenset({"br", "wbr", "img", "input"})
@@ -39,19 +40,62 @@ _INLINE_SPACE = frozenset({"br", "wbr", "img", "input"})
 SLOTS, WORDS, WIDTH, HIDDEN = 2048, 16384, 16, 16
 #: Words that a worker remembers the places of, and words whose vectors are summed at once.
 REMEMBERED, SUMMED = 200_000, 1 << 18
+#: Blocks that a word, or a pair, must stand in to get a vector of its own; rarer ones are unknown words, with none.
+FREQUENT = 12
+#: Log odds from which on a block is content: one is dropped only where at least 4.5 to 1 speaks against it.
+CONTENT = -1.5
 #: Generated pages to learn from, passes over them, seed.
 PAGES, PASSES, SEED = 500, 6, 11
 
 
-def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
-    """(tag path, text, characters inside links) of the page's blocks in order, those without text left out.
+class Path:
+    """An element's place in the page: its tag with its class, id and role words, and the element around it. Blocks share
+    the paths of the elements that they stand in, so a page takes room and time as it has elements, however deep."""
+
+    __slots__ = ("parent", "name", "own", "total", "count")
+
+    def __init__(self, parent: Path | None, name: str) -> None:
+        self.parent, self.name, self.total, self.count = parent, name, None, 0
+        tag, *words = name.split()
+        self.own = tuple(map(_path_slot, [f"t:{tag}", *(f"n:{w}" for w in words)]))
+
+    def every(self) -> list[int]:
+        """Places of the features of all elements from the outermost."""
+        out, at = [], self
+        while at is not None:
+            out.append(at.own)
+            at = at.parent
+        return [k for own in reversed(out) for k in own]
+
+    def sums(self, vectors: np.ndarray) -> tuple[np.ndarray, int]:
+        """Sum and number of those features' vectors: the parent's and its own, found once for each element."""
+        todo, at = [], self
+        while at is not None and at.total is None:
+            todo.append(at)
+            at = at.parent
+        for path in reversed(todo):
+            above = path.parent
+            own = vectors[list(path.own)].sum(axis=0)
+            path.total, path.count = (own, len(path.own)) if above is None else (above.total + own, above.count + len(path.own))
+        return self.total, self.count
+
+
+@lru_cache(maxsize=20_000)
+def _path_slot(word: str) -> int:
+    return zlib.crc32(word.encode()) % (SLOTS // 2)
+
+
+def leaves(page: str) -> list[tuple[Path | None, str, int]]:
+    """(path, text, characters inside links) of the page's blocks in order, those without text left out.
 
     Text of silent elements is dropped, but not that of formulas, drawings and fallbacks of objects; a head ends where
     its end tag, a body, a flow element or text stands. Character references are decoded; white space becomes one space. A line break
-    inside a block is white space. Unclosed and truncated markup closes where its parent or the page does.
+    inside a block is white space. Unclosed and truncated markup closes where its parent or the page does. Time is in
+    proportion to the page, whatever its depth.
     """
-    out: list[tuple[tuple[str, ...], str, int]] = []
-    stack: list[tuple[str, str]] = []
+    out: list[tuple[Path | None, str, int]] = []
+    stack: list[tuple[str, Path | None]] = []  # open elements, and the path inside each
+    opened: Counter[str] = Counter()
     parts: list[str] = []
     link = silent = 0
     at, end = 0, len(page)
@@ -61,7 +105,7 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
         if parts:
             text = " ".join(entities.unescape("".join(parts)).split())
             if text:
-                out.append((tuple(p for _, p in stack if p), text, link))
+                out.append((stack[-1][1] if stack else None, text, link))
             parts.clear()
         link = 0
 
@@ -73,6 +117,7 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
         nonlocal silent
         while len(stack) > upto:
             name, _ = stack.pop()
+            opened[name] -= 1
             silent -= name in _SILENT
 
     while at < end:
@@ -83,7 +128,7 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
             leave_head()
         if tag > at and not silent:
             parts.append(page[at:tag])
-            if any(n == "a" for n, _ in stack):
+            if opened["a"]:
                 link += tag - at
         if tag == end:
             break
@@ -103,16 +148,17 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
         elif name in _INLINE_SPACE:
             parts.append(" ")
         if m[1]:
-            for i in range(len(stack) - 1, -1, -1):
-                if stack[i][0] == name:
-                    close(i)
-                    break
+            if opened[name]:
+                i = len(stack) - 1
+                while stack[i][0] != name:
+                    i -= 1
+                close(i)
             continue
         if name not in _IN_HEAD:
             leave_head()
         if name in _VOID or m[3].endswith("/"):
             continue
-        if name in _CLOSES:
+        if name in _CLOSES and any(opened[x] for x in _CLOSES[name]):
             for i in range(len(stack) - 1, -1, -1):
                 if stack[i][0] in _CLOSES[name]:
                     close(i)
@@ -120,7 +166,9 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
                 if stack[i][0] in ("table", "ul", "ol", "dl", "article", "section", "div", "td"):
                     break
         named = " ".join(w.lower() for got in _NAMES.findall(m[3]) for g in got for w in _WORD.findall(g))
-        stack.append((name, f"{name} {named}".strip() if name in _BLOCK or named else ""))
+        inside = stack[-1][1] if stack else None
+        stack.append((name, Path(inside, f"{name} {named}".strip()) if name in _BLOCK or named else inside))
+        opened[name] += 1
         if name in _SILENT:
             silent += 1
             if name in ("script", "style", "textarea", "noscript", "title"):  # raw text: nothing but its end tag counts
@@ -131,13 +179,6 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
     return out
 
 
-@lru_cache(maxsize=20_000)
-def _slots(path: tuple[str, ...]) -> tuple[int, ...]:
-    """Places of the path's features: each tag, each of its name words, the innermost tag."""
-    words = [f"t:{p.split()[0]}" for p in path] + [f"n:{w}" for p in path for w in p.split()[1:]] + [f"i:{path[-1].split()[0] if path else ''}"]
-    return tuple(zlib.crc32(w.encode()) % (SLOTS // 2) for w in words)
-
-
 class _WordSlots(dict):
     """word: its place among all words; forgets everything when full."""
 
@@ -151,27 +192,37 @@ class _WordSlots(dict):
 _word_slots = _WordSlots()
 
 
-def features(blocks: list[tuple[tuple[str, ...], str, int]]) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]:
-    """Slots of each block's path and first words, and those of all its words and pairs; its measures."""
+#: What the labeller reads of a block: its path, the places of its innermost tag and first words, those of all its words
+#: and pairs of neighbours.
+Read = tuple[Path | None, np.ndarray, np.ndarray]
+
+
+def features(blocks: list[tuple[Path | None, str, int]]) -> tuple[list[Read], np.ndarray]:
+    """What is read of each block; its measures."""
     slots, dense = [], np.zeros((len(blocks), 6), np.float32)
     for k, (path, text, link) in enumerate(blocks):
         words = _WORD.findall(text.lower())
-        head = [SLOTS // 2 + zlib.crc32(w.encode()) % (SLOTS // 2) for w in words[:4]]
+        head = [_path_slot(f"i:{path.name.split()[0] if path else ''}"), *(SLOTS // 2 + zlib.crc32(w.encode()) % (SLOTS // 2) for w in words[:4])]
         # place SLOTS stands in every block, so that none is empty; pairs of neighbours tell a cue from its single words
         every = [SLOTS, *map(_word_slots.__getitem__, words), *map(_word_slots.__getitem__, map(" ".join, zip(words, words[1:])))]
-        slots.append((np.array([*_slots(path), *head], np.int32), np.array(every, np.int32)))
+        slots.append((path, np.array(head, np.int32), np.array(every, np.int32)))
         n = len(text)
         dense[k] = (np.log1p(n) / 6, min(1.0, link / max(1, n)), text[-1] in ".!?;:\"'", (text[:1] == "©"), k / max(1, len(blocks) - 1), sum(map(text.count, ".,;")) / max(1, n) * 10)
     return slots, dense
 
 
+def spelled(slots: list[Read]) -> list[tuple[np.ndarray, np.ndarray]]:
+    """The same with each path's places written out, as learning needs them for its gradients."""
+    return [(np.array([*(path.every() if path else ()), *head], np.int32), every) for path, head, every in slots]
+
+
 class Labeller:
     """Embedding sums, two LSTMs and a logistic layer; all weights in one flat dict of arrays."""
 
     def __init__(self, seed: int = SEED) -> None:
         rng = np.random.default_rng(seed)
         d, h = 2 * WIDTH + 6, HIDDEN
-        self.w = {"e": np.concatenate([rng.normal(0, 0.1, (SLOTS, WIDTH)), np.zeros((WORDS, WIDTH))]), "o": rng.normal(0, 0.3, (2 * h, 1)), "ob": np.zeros(1)}
+        self.w = {"e": np.concatenate([rng.normal(0, 0.1, (SLOTS // 2, WIDTH)), np.zeros((SLOTS // 2 + WORDS, WIDTH))]), "o": rng.normal(0, 0.3, (2 * h, 1)), "ob": np.zeros(1)}
         for side in "fb":
             self.w[f"{side}x"] = rng.normal(0, d**-0.5, (d, 4 * h))
             self.w[f"{side}h"] = rng.normal(0, h**-0.5, (h, 4 * h))
@@ -192,7 +243,14 @@ class Labeller:
             first = upto
         return out
 
-    def inputs(self, slots: list[tuple[np.ndarray, np.ndarray]], dense: np.ndarray) -> np.ndarray:
+    def inputs(self, slots: list[Read], dense: np.ndarray) -> np.ndarray:
+        paths = [path.sums(self.w["e"]) if path else (np.zeros(WIDTH, np.float32), 0) for path, _, _ in slots]
+        sizes = np.array([len(head) for _, head, _ in slots])
+        heads = self._sums([head for _, head, _ in slots]) * np.sqrt(sizes)[:, None]
+        above = (np.array([t for t, _ in paths]) + heads) / np.sqrt(sizes + np.array([n for _, n in paths]))[:, None]
+        return np.concatenate([above, self._sums([w for _, _, w in slots]), dense], axis=1).astype(np.float32)
+
+    def spelled_inputs(self, slots: list[tuple[np.ndarray, np.ndarray]], dense: np.ndarray) -> np.ndarray:
         return np.concatenate([self._sums([s for s, _ in slots]), self._sums([w for _, w in slots]), dense], axis=1).astype(np.float32)
 
     def _pass(self, x: np.ndarray, side: str, keep: bool = False):
@@ -218,7 +276,7 @@ class Labeller:
         both = np.concatenate([self._pass(x, "f"), self._pass(x, "b")], axis=2)
         return (both @ self.w["o"])[..., 0] + self.w["ob"]
 
-    def label(self, pages: list[tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]]) -> list[np.ndarray]:
+    def label(self, pages: list[tuple[list[Read], np.ndarray]]) -> list[np.ndarray]:
         """Whether each block of each page is content. Pages are taken in groups of one length: no padding is read."""
         out: list[np.ndarray] = [np.zeros(0, bool)] * len(pages)
         by: dict[int, list[int]] = {}
@@ -230,18 +288,30 @@ class Labeller:
                 some = members[a : a + max(1, 4096 // t)]
                 x = self.inputs([s for k in some for s in pages[k][0]], np.concatenate([pages[k][1] for k in some])).reshape(len(some), t, -1)
                 for k, s in zip(some, self.scores(x), strict=True):
-                    out[k] = s > 0
+                    out[k] = s > CONTENT
         return out
 
-    def learn(self, pages: list[tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray, np.ndarray]], passes: int = PASSES, rate: float = 0.01) -> None:
-        """Adam on the cross entropy of every block, a page at a time, by backpropagation through the sequence."""
+    def learn(self, pages: list[tuple[list[Read], np.ndarray, np.ndarray]], passes: int = PASSES, rate: float = 0.01) -> None:
+        """Adam on the cross entropy of every block, a page at a time, by backpropagation through the sequence. Only the
+        vectors of path features and of frequent words are learned; all others stay none."""
+        read = [(spelled(slots), dense, truth) for slots, dense, truth in pages]
+        stands = np.zeros(SLOTS + WORDS, np.int64)
+        for slots, _, _ in read:
+            for own in (x for pair in slots for x in pair):
+                stands[np.unique(own)] += 1
+        active = np.flatnonzero((stands >= FREQUENT) | (np.arange(SLOTS + WORDS) < SLOTS // 2))
+        place = np.full(SLOTS + WORDS, len(active))  # the last row stands for all words without a vector
+        place[active] = np.arange(len(active))
+        read = [([(place[own], place[every]) for own, every in slots], dense, truth) for slots, dense, truth in read]
+        whole, self.w["e"] = self.w["e"], np.concatenate([self.w["e"][active], np.zeros((1, WIDTH), np.float32)])
+        firsts, words = (active >= SLOTS // 2) & (active < SLOTS), active >= SLOTS
         m = {k: np.zeros_like(v) for k, v in self.w.items()}
         v = {k: np.zeros_like(a) for k, a in self.w.items()}
         rng, step, h, first, total = np.random.default_rng(SEED), 0, HIDDEN, rate, passes * len(pages)
         for _ in range(passes):
             for k in rng.permutation(len(pages)):
-                slots, dense, truth = pages[k]
-                x = self.inputs(slots, dense)[None]
+                slots, dense, truth = read[k]
+                x = self.spelled_inputs(slots, dense)[None]
                 (f, f_held), (b, b_held) = self._pass(x, "f", True), self._pass(x, "b", True)
                 both = np.concatenate([f, b], axis=2)
                 score = (both @ self.w["o"])[0, :, 0] + self.w["ob"]
@@ -265,14 +335,18 @@ class Labeller:
                 for part, own in enumerate(zip(*slots, strict=True)):
                     sizes = np.array([len(s) for s in own])
                     np.add.at(g["e"], np.concatenate(own), np.repeat(d_x[0, :, part * WIDTH : (part + 1) * WIDTH] / np.sqrt(sizes)[:, None], sizes, axis=0))
-                g["e"][SLOTS // 2 : SLOTS] += 0.003 * self.w["e"][SLOTS // 2 : SLOTS]  # most first words are of no kind
-                g["e"][SLOTS:] += 0.0003 * self.w["e"][SLOTS:]
+                g["e"][:-1][firsts] += 0.003 * self.w["e"][:-1][firsts]  # most first words are of no kind
+                g["e"][:-1][words] += 0.0003 * self.w["e"][:-1][words]
+                g["e"][-1] = 0
                 step += 1
                 rate = first * (1 - 0.97 * step / total)
                 for name, grad in g.items():
                     m[name] = 0.9 * m[name] + 0.1 * grad
                     v[name] = 0.999 * v[name] + 0.001 * grad**2
                     self.w[name] = (self.w[name] - rate * (m[name] / (1 - 0.9**step)) / (np.sqrt(v[name] / (1 - 0.999**step)) + 1e-8)).astype(np.float32)
+        whole[active] = self.w["e"][:-1]
+        whole[np.setdiff1d(np.arange(SLOTS // 2, SLOTS + WORDS), active)] = 0
+        self.w["e"] = whole
 
 
 _ASIDE = ("sidebar", "widget", "related", "recommended", "promo", "ad", "ads", "advert", "banner", "sponsor", "cookie", "consent", "notice", "newsletter", "subscribe", "share", "social", "breadcrumb", "pagination", "popup", "modal", "disclaimer", "tags", "author box", "menu", "toolbar", "skip")
@@ -363,8 +437,13 @@ def sample_page(rng: np.random.Generator) -> tuple[str, list[bool]]:
     tag = pick(["article", "article", "article", "main", "div", "section"])
     name = pick(_MAIN) if tag != "div" else pick(_MAIN[3:])
     out.append(named(tag, name))
-    if rng.random() < 0.8:
+    own_header = tag in ("article", "main") and rng.random() < 0.3  # the headline's, not the page's
+    if own_header:
+        out.append(named("header", pick(["", "", "entry header", "post header"])))
+    if own_header or rng.random() < 0.8:
         add(f"<{(h := pick(['h1', 'h1', 'h2']))}>{stray(words(1, 12))}</{h}>", True)
+    if own_header:
+        out.append("</header>")
     for _ in range(int(rng.integers(1, 14 if rng.random() < 0.85 else 70))):
         kind = rng.random()
         if kind < 0.5:
@@ -408,7 +487,7 @@ def sample_page(rng: np.random.Generator) -> tuple[str, list[bool]]:
     return lead + "".join(out), truth
 
 
-def generated(n: int, seed: int) -> list[tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray, np.ndarray]]:
+def generated(n: int, seed: int) -> list[tuple[list[Read], np.ndarray, np.ndarray]]:
     """Pages with labels; those whose markup the block cutter reads otherwise than the generator meant are left out."""
     rng, out = np.random.default_rng(seed), []
     while len(out) < n:
