@@ -183,7 +183,7 @@ def satisfied(df: DataFrame, graph: PropertyGraph, condition: Condition) -> Data
             df = df.withColumn(name, F.try_element_at(F.create_map(*[F.lit(x) for p in known.items() for x in p]), code) if known else F.lit(None).cast("string"))
         elif term.kind == "label" and graph.node_kinds:
             kinds = F.create_map(*[F.lit(x) for p in graph.node_kinds.items() for x in p])
-            df = df.withColumn(name, F.try_element_at(kinds, F.shiftright(term.place.id(), 48).cast("int")))
+            df = df.withColumn(name, F.try_element_at(kinds, graph.kind_of(term.place.id())))
         else:
             owners = graph.labels_of_nodes().withColumnRenamed("label", "value") if term.kind == "label" else graph.property_of(term.name, "edge" if term.place.what == "edge" else "node")
             if owners is None:

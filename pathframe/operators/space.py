@@ -28,9 +28,12 @@ class SolutionSpace:
     ordered: frozenset[str] = frozenset()
 
     def least_length(self, of: str) -> Column:
-        """Least length in the path's partition or group; a group of one length needs no window."""
+        """Least length in the path's partition or group; a group of one length needs no window, and a space of one
+        partition takes the least of its lengths, which an aggregate of few rows gives: never a window over everything."""
         if of == "group" and "L" in self.letters:
             return F.col("len")
+        if not any(x in self.letters for x in "ST"):
+            return self.df.groupBy("len").agg(F.count(F.lit(1)).alias("n")).select("len").orderBy("len").limit(1).scalar()
         keys = _PARTITION if of == "partition" else _GROUP
         return F.min("len").over(Window.partitionBy(*keys))
 
@@ -56,7 +59,10 @@ class SolutionSpace:
             if any(x in self.letters for x in "ST"):
                 firsts = df.groupBy(*_PARTITION).agg(F.min("ord_p").alias("ord_p")).orderBy(way("ord_p", "P"), *_PARTITION).limit(int(p)).select(F.col("p_src").alias("__s"), F.col("p_dst").alias("__t"))
                 df = df.join(firsts, F.col("p_src").eqNullSafe(F.col("__s")) & F.col("p_dst").eqNullSafe(F.col("__t")), "left_semi")
-        if g != "*" and "L" in self.letters:
+        if g != "*" and self.letters == "L":  # one partition: its groups are a row a length, and the first of them a top-k
+            firsts = df.groupBy("g_len").agg(F.min("ord_g").alias("ord_g")).orderBy(way("ord_g", "G"), "g_len").limit(int(g)).select(F.col("g_len").alias("__l"))
+            df = df.join(F.broadcast(firsts), F.col("g_len") == F.col("__l"), "left_semi")
+        elif g != "*" and "L" in self.letters:
             rank = F.dense_rank().over(Window.partitionBy(*_PARTITION).orderBy(way("ord_g", "G"), "g_len"))
             df = df.withColumn("__r", rank).filter(F.col("__r") <= int(g)).drop("__r")
         if a != "*":
@@ -72,9 +78,9 @@ def group_by(paths: PathSet, letters: str = "") -> SolutionSpace:
     """Partitions by first node (S) and last node (T), groups in them by length (L); without a letter, one of each."""
     letters = "".join(x for x in "STL" if x in letters.upper())
     own = paths.distinct()
-    null = F.lit(None)
+    null, id_type = F.lit(None), own.graph.id_type
     df = own.df.withColumns({
-        "p_src": F.col("src") if "S" in letters else null.cast("bigint"), "p_dst": F.col("dst") if "T" in letters else null.cast("bigint"),
+        "p_src": F.col("src") if "S" in letters else null.cast(id_type), "p_dst": F.col("dst") if "T" in letters else null.cast(id_type),
         "g_len": F.col("len") if "L" in letters else null.cast("int"), "ord_p": F.lit(1), "ord_g": F.lit(1), "ord_a": F.lit(1),
     })
     return SolutionSpace(own, letters, df)

@@ -25,13 +25,33 @@ def read(spark: SparkSession, folder: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{folder}/{name}.parquet")
 
 
-def _n(kind: str, key) -> Column:
-    return tagged(NODE_KINDS[kind], F.col(key) if isinstance(key, str) else key)
+class Ids:
+    """Makes the ids of a graph: bigints for keys below 2^48 (pairs: below 2^24), checked; wide ones for any key."""
 
+    def __init__(self, wide: bool = False) -> None:
+        self.wide = wide
 
-def _named(kind: str, text) -> Column:
-    """Id of a node known by a string: 44 bits of its MD5."""
-    return tagged(NODE_KINDS[kind], F.conv(F.substring(F.md5(text), 1, 11), 16, 10).cast("bigint"))
+    def node(self, kind: str, key) -> Column:
+        return tagged(NODE_KINDS[kind], F.col(key) if isinstance(key, str) else key, self.wide)
+
+    def edge(self, label: str, key) -> Column:
+        return tagged(EDGE_KINDS[label], F.col(key) if isinstance(key, str) else key, self.wide)
+
+    def pair(self, label: str, a: str, b: str) -> Column:
+        return paired(EDGE_KINDS[label], F.col(a), F.col(b), self.wide)
+
+    def named(self, kind: str, text) -> Column:
+        """Id of a node known by a string: 44 bits of its MD5, which part some hundred thousand names surely; wide, 96 bits."""
+        part = lambda at, n: F.conv(F.substring(F.md5(text), at, n), 16, 10).cast("bigint")
+        return paired(NODE_KINDS[kind], part(1, 12), part(13, 12), True) if self.wide else tagged(NODE_KINDS[kind], part(1, 11))
+
+    def numbered(self, label: str, key: str, at: Column, most: int) -> Column:
+        """Id of an edge or node known by a key and a number below `most` in it; wide, below 2^48."""
+        kind = (EDGE_KINDS | NODE_KINDS)[label]
+        if self.wide:
+            return paired(kind, F.col(key), at, True)
+        fits = F.when(at < most, at.cast("bigint")).otherwise(F.raise_error(F.concat(F.lit(f"number not below {most}, make the graph with wide ids: "), at.cast("string"))).cast("bigint"))
+        return tagged(kind, F.col(key) * most + fits)
 
 
 def _graph(nodes: dict[str, DataFrame], edges: dict[str, DataFrame]) -> PropertyGraph:
@@ -52,89 +72,97 @@ def sample(spark: SparkSession) -> PropertyGraph:
     return PropertyGraph({"Person": people, "Message": messages}, tables)
 
 
-def trade(spark: SparkSession, folder: str) -> PropertyGraph:
+def trade(spark: SparkSession, folder: str, wide: bool = False) -> PropertyGraph:
     """Each supplier nation to the two other nations whose customers it sold most to. Sums are of whole cents, so that
     ranks don't hang on the order of addition; the lines are summed by order and supplier before the other joins."""
+    ids = Ids(wide)
     lines = read(spark, folder, "lineitem").groupBy("l_orderkey", "l_suppkey").agg(F.sum(F.round(F.col("l_extendedprice") * 100).cast("bigint")).alias("cents"))
     sold = lines.join(read(spark, folder, "orders").select("o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey"))
     sold = sold.join(read(spark, folder, "customer").select("c_custkey", F.col("c_nationkey").alias("b")), F.col("o_custkey") == F.col("c_custkey"))
     sold = sold.join(read(spark, folder, "supplier").select("s_suppkey", F.col("s_nationkey").alias("a")), F.col("l_suppkey") == F.col("s_suppkey"))
     pairs = sold.filter("a <> b").groupBy("a", "b").agg(F.sum("cents").alias("cents"))
     top = pairs.withColumn("r", F.row_number().over(Window.partitionBy("a").orderBy(F.col("cents").desc(), "b"))).filter("r <= 2")
-    edges = top.select(paired(EDGE_KINDS["TRADES_WITH"], F.col("a"), F.col("b")).alias("eid"), _n("Nation", "a").alias("src"), _n("Nation", "b").alias("dst"), "cents")
-    nations = read(spark, folder, "nation").select(_n("Nation", "n_nationkey").alias("id"), F.col("n_name").alias("name"), F.col("n_regionkey").cast("bigint").alias("region"))
+    edges = top.select(ids.pair("TRADES_WITH", "a", "b").alias("eid"), ids.node("Nation", "a").alias("src"), ids.node("Nation", "b").alias("dst"), "cents")
+    nations = read(spark, folder, "nation").select(ids.node("Nation", "n_nationkey").alias("id"), F.col("n_name").alias("name"), F.col("n_regionkey").cast("bigint").alias("region"))
     return _graph({"Nation": nations}, {"TRADES_WITH": edges})
 
 
-def relay(spark: SparkSession, folder: str) -> PropertyGraph:
+def relay(spark: SparkSession, folder: str, wide: bool = False) -> PropertyGraph:
     """User to next user where two purchases follow each other within a day; the order is by day, never of all events."""
+    ids = Ids(wide)
     w = Window.partitionBy(F.to_date("ts")).orderBy("ts", "event_id")
     events = read(spark, folder, "events").select("event_id", "ts", "user_id", "event_type")
     after = events.withColumns({"b": F.lead("user_id").over(w), "b_type": F.lead("event_type").over(w)})
     pairs = after.filter("event_type = 'purchase' AND b_type = 'purchase'").select(F.col("user_id").alias("a"), "b").distinct()
-    edges = pairs.select(paired(EDGE_KINDS["HANDS_TO"], F.col("a"), F.col("b")).alias("eid"), _n("User", "a").alias("src"), _n("User", "b").alias("dst"))
-    return _graph({"User": events.select(_n("User", "user_id").alias("id")).distinct()}, {"HANDS_TO": edges})
+    edges = pairs.select(ids.pair("HANDS_TO", "a", "b").alias("eid"), ids.node("User", "a").alias("src"), ids.node("User", "b").alias("dst"))
+    return _graph({"User": events.select(ids.node("User", "user_id").alias("id")).distinct()}, {"HANDS_TO": edges})
 
 
-def social(spark: SparkSession, folder: str) -> PropertyGraph:
+def social(spark: SparkSession, folder: str, wide: bool = False) -> PropertyGraph:
     """Customers as persons and orders as messages: who ordered next in a segment and priority is known (finished
     orders), the next order in it is liked (open ones), and each order has its creator."""
+    ids = Ids(wide)
     orders, customers = read(spark, folder, "orders"), read(spark, folder, "customer")
     both = orders.join(customers.select("c_custkey", "c_mktsegment"), F.col("o_custkey") == F.col("c_custkey"))
     w = Window.partitionBy("c_mktsegment", "o_orderpriority").orderBy("o_orderdate", "o_orderkey")
     ahead = lambda status: both.filter(F.col("o_orderstatus") == status).withColumns({"next_c": F.lead("o_custkey").over(w), "next_o": F.lead("o_orderkey").over(w)})
     knows = ahead("F").filter("next_c IS NOT NULL AND next_c <> o_custkey").select(F.col("o_custkey").alias("a"), F.col("next_c").alias("b")).distinct()
     likes = ahead("P").filter("next_o IS NOT NULL")
-    people = customers.select(_n("Person", "c_custkey").alias("id"), F.col("c_name").alias("name"), F.col("c_mktsegment").alias("segment"), F.col("c_acctbal").alias("balance"))
-    messages = orders.select(_n("Message", "o_orderkey").alias("id"), F.col("o_totalprice").alias("price"), F.col("o_orderpriority").alias("priority"))
+    people = customers.select(ids.node("Person", "c_custkey").alias("id"), F.col("c_name").alias("name"), F.col("c_mktsegment").alias("segment"), F.col("c_acctbal").alias("balance"))
+    messages = orders.select(ids.node("Message", "o_orderkey").alias("id"), F.col("o_totalprice").alias("price"), F.col("o_orderpriority").alias("priority"))
     return _graph({"Person": people, "Message": messages}, {
-        "KNOWS": knows.select(paired(EDGE_KINDS["KNOWS"], F.col("a"), F.col("b")).alias("eid"), _n("Person", "a").alias("src"), _n("Person", "b").alias("dst")),
-        "LIKES": likes.select(tagged(EDGE_KINDS["LIKES"], F.col("o_orderkey")).alias("eid"), _n("Person", "o_custkey").alias("src"), _n("Message", "next_o").alias("dst")),
-        "HAS_CREATOR": orders.select(tagged(EDGE_KINDS["HAS_CREATOR"], F.col("o_orderkey")).alias("eid"), _n("Message", "o_orderkey").alias("src"), _n("Person", "o_custkey").alias("dst")),
+        "KNOWS": knows.select(ids.pair("KNOWS", "a", "b").alias("eid"), ids.node("Person", "a").alias("src"), ids.node("Person", "b").alias("dst")),
+        "LIKES": likes.select(ids.edge("LIKES", "o_orderkey").alias("eid"), ids.node("Person", "o_custkey").alias("src"), ids.node("Message", "next_o").alias("dst")),
+        "HAS_CREATOR": orders.select(ids.edge("HAS_CREATOR", "o_orderkey").alias("eid"), ids.node("Message", "o_orderkey").alias("src"), ids.node("Person", "o_custkey").alias("dst")),
     })
 
 
-def logistics(spark: SparkSession, folder: str) -> PropertyGraph:
+def logistics(spark: SparkSession, folder: str, wide: bool = False) -> PropertyGraph:
     """Orders, customers, parts, suppliers, nations and regions: a graph without cycles, with typed properties."""
+    ids = Ids(wide)
     lines, orders, customers, suppliers = (read(spark, folder, t) for t in ("lineitem", "orders", "customer", "supplier"))
     nations, regions, parts = (read(spark, folder, t) for t in ("nation", "region", "part"))
     contains = lines.groupBy("l_orderkey", "l_partkey").agg(F.sum("l_quantity").alias("quantity"))
     supplies = lines.select("l_suppkey", "l_partkey").distinct()
     nodes = {
-        "Message": orders.select(_n("Message", "o_orderkey").alias("id"), F.col("o_totalprice").alias("price"), F.col("o_orderpriority").alias("priority")),
-        "Person": customers.select(_n("Person", "c_custkey").alias("id"), F.col("c_name").alias("name"), F.col("c_acctbal").alias("balance")),
-        "Part": parts.select(_n("Part", "p_partkey").alias("id"), F.col("p_name").alias("name"), F.col("p_brand").alias("brand"), F.col("p_size").cast("bigint").alias("size")),
-        "Supplier": suppliers.select(_n("Supplier", "s_suppkey").alias("id"), F.col("s_name").alias("name"), F.col("s_acctbal").alias("balance")),
-        "Nation": nations.select(_n("Nation", "n_nationkey").alias("id"), F.col("n_name").alias("name")),
-        "Region": regions.select(_n("Region", "r_regionkey").alias("id"), F.col("r_name").alias("name")),
+        "Message": orders.select(ids.node("Message", "o_orderkey").alias("id"), F.col("o_totalprice").alias("price"), F.col("o_orderpriority").alias("priority")),
+        "Person": customers.select(ids.node("Person", "c_custkey").alias("id"), F.col("c_name").alias("name"), F.col("c_acctbal").alias("balance")),
+        "Part": parts.select(ids.node("Part", "p_partkey").alias("id"), F.col("p_name").alias("name"), F.col("p_brand").alias("brand"), F.col("p_size").cast("bigint").alias("size")),
+        "Supplier": suppliers.select(ids.node("Supplier", "s_suppkey").alias("id"), F.col("s_name").alias("name"), F.col("s_acctbal").alias("balance")),
+        "Nation": nations.select(ids.node("Nation", "n_nationkey").alias("id"), F.col("n_name").alias("name")),
+        "Region": regions.select(ids.node("Region", "r_regionkey").alias("id"), F.col("r_name").alias("name")),
     }
-    one = lambda label, df, key, a, b: df.select(tagged(EDGE_KINDS[label], F.col(key)).alias("eid"), a.alias("src"), b.alias("dst"))
+    one = lambda label, df, key, a, b: df.select(ids.edge(label, key).alias("eid"), a.alias("src"), b.alias("dst"))
     edges = {
-        "PLACED_BY": one("PLACED_BY", orders, "o_orderkey", _n("Message", "o_orderkey"), _n("Person", "o_custkey")),
-        "CONTAINS": contains.select(paired(EDGE_KINDS["CONTAINS"], F.col("l_orderkey"), F.col("l_partkey")).alias("eid"), _n("Message", "l_orderkey").alias("src"), _n("Part", "l_partkey").alias("dst"), "quantity"),
-        "SUPPLIES": supplies.select(paired(EDGE_KINDS["SUPPLIES"], F.col("l_suppkey"), F.col("l_partkey")).alias("eid"), _n("Supplier", "l_suppkey").alias("src"), _n("Part", "l_partkey").alias("dst")),
-        "LIVES_IN": one("LIVES_IN", customers, "c_custkey", _n("Person", "c_custkey"), _n("Nation", "c_nationkey")),
-        "BASED_IN": one("BASED_IN", suppliers, "s_suppkey", _n("Supplier", "s_suppkey"), _n("Nation", "s_nationkey")),
-        "PART_OF": one("PART_OF", nations, "n_nationkey", _n("Nation", "n_nationkey"), _n("Region", "n_regionkey")),
+        "PLACED_BY": one("PLACED_BY", orders, "o_orderkey", ids.node("Message", "o_orderkey"), ids.node("Person", "o_custkey")),
+        "CONTAINS": contains.select(ids.pair("CONTAINS", "l_orderkey", "l_partkey").alias("eid"), ids.node("Message", "l_orderkey").alias("src"), ids.node("Part", "l_partkey").alias("dst"), "quantity"),
+        "SUPPLIES": supplies.select(ids.pair("SUPPLIES", "l_suppkey", "l_partkey").alias("eid"), ids.node("Supplier", "l_suppkey").alias("src"), ids.node("Part", "l_partkey").alias("dst")),
+        "LIVES_IN": one("LIVES_IN", customers, "c_custkey", ids.node("Person", "c_custkey"), ids.node("Nation", "c_nationkey")),
+        "BASED_IN": one("BASED_IN", suppliers, "s_suppkey", ids.node("Supplier", "s_suppkey"), ids.node("Nation", "s_nationkey")),
+        "PART_OF": one("PART_OF", nations, "n_nationkey", ids.node("Nation", "n_nationkey"), ids.node("Region", "n_regionkey")),
     }
     return _graph(nodes, edges)
 
 
-def clicks(spark: SparkSession, folder: str) -> PropertyGraph:
+def clicks(spark: SparkSession, folder: str, wide: bool = False) -> PropertyGraph:
     """Event to the same user's next event; the JSON property k rides as an edge property."""
+    ids = Ids(wide)
     events = read(spark, folder, "events")
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
     after = events.withColumn("b", F.lead("event_id").over(w)).filter("b IS NOT NULL")
-    edges = after.select(tagged(EDGE_KINDS["NEXT"], F.col("event_id")).alias("eid"), _n("Event", "event_id").alias("src"), _n("Event", "b").alias("dst"), F.get_json_object("props", "$.k").alias("k"), "value")
-    return _graph({"Event": events.select(_n("Event", "event_id").alias("id"), F.col("event_type").alias("type"), "value")}, {"NEXT": edges})
+    edges = after.select(ids.edge("NEXT", "event_id").alias("eid"), ids.node("Event", "event_id").alias("src"), ids.node("Event", "b").alias("dst"), F.get_json_object("props", "$.k").alias("k"), "value")
+    return _graph({"Event": events.select(ids.node("Event", "event_id").alias("id"), F.col("event_type").alias("type"), "value")}, {"NEXT": edges})
 
 
-def dialogue(spark: SparkSession, folder: str) -> PropertyGraph:
-    """Turn to the next turn of a conversation (turn numbers below 1024)."""
-    turns = read(spark, folder, "conversations").withColumn("key", F.col("conv_id") * 1024 + F.col("turn"))
+def dialogue(spark: SparkSession, folder: str, wide: bool = False) -> PropertyGraph:
+    """Turn to the next turn of a conversation (turn numbers below 1024, checked; any with wide ids)."""
+    ids = Ids(wide)
+    turns = read(spark, folder, "conversations")
     w = Window.partitionBy("conv_id").orderBy("turn")
-    edges = turns.withColumn("b", F.lead("key").over(w)).filter("b IS NOT NULL").select(tagged(EDGE_KINDS["REPLIED_BY"], F.col("key")).alias("eid"), _n("Turn", "key").alias("src"), _n("Turn", "b").alias("dst"))
-    return _graph({"Turn": turns.select(_n("Turn", "key").alias("id"), "role", "text", "turn")}, {"REPLIED_BY": edges})
+    key = lambda kind, turn: ids.numbered(kind, "conv_id", F.col(turn), 1024)
+    after = turns.select("conv_id", "turn", F.lead("turn").over(w).alias("b")).filter("b IS NOT NULL")
+    edges = after.select(key("REPLIED_BY", "turn").alias("eid"), key("Turn", "turn").alias("src"), key("Turn", "b").alias("dst"))
+    return _graph({"Turn": turns.select(key("Turn", "turn").alias("id"), "role", "text", "turn")}, {"REPLIED_BY": edges})
 
 
 #: Bytes of item text that one automaton (and its broadcast) may hold.
@@ -190,13 +218,14 @@ def short_passages(docs: DataFrame, items: DataFrame) -> DataFrame:
     return out
 
 
-def texts(spark: SparkSession, folder: str) -> PropertyGraph:
+def texts(spark: SparkSession, folder: str, wide: bool = False) -> PropertyGraph:
     """Documents with language, source, copies (next document of the same text, found by hash) and benchmark passages.
 
     Passages: five words inside an item are joined by hash to a document's windows of five, ids alone, and the whole
     item is looked for in the documents that share such a window. Items of fewer than seven words, which need not hold
     five whole words of a document, are looked for in every text by one automaton (short_passages).
     """
+    ids = Ids(wide)
     docs, labels, items = read(spark, folder, "documents"), read(spark, folder, "labels"), read(spark, folder, "benchmark")
     # copies by the hash alone, so no text is shuffled; equal texts are then known by a 256-bit digest
     hashed = docs.select("doc_id", F.sha2("text", 256).alias("h"))
@@ -213,56 +242,58 @@ def texts(spark: SparkSession, folder: str) -> PropertyGraph:
     short = items.filter((F.size(words) < width + 2) & F.col("text").isNotNull())
     passages = passages.unionByName(short_passages(docs, short)).distinct()
     nodes = {
-        "Document": docs.select("doc_id", "n_chars").join(labels, "doc_id", "left").select(_n("Document", "doc_id").alias("id"), "n_chars", F.col("quality").cast("bigint").alias("quality"), F.col("toxic").cast("bigint").alias("toxic")),
-        "Language": docs.select(_named("Language", F.col("lang")).alias("id"), F.col("lang").alias("name")).distinct(),
-        "Source": docs.select(_named("Source", F.col("source")).alias("id"), F.col("source").alias("name")).distinct(),
-        "Item": items.select(_n("Item", "item_id").alias("id")),
+        "Document": docs.select("doc_id", "n_chars").join(labels, "doc_id", "left").select(ids.node("Document", "doc_id").alias("id"), "n_chars", F.col("quality").cast("bigint").alias("quality"), F.col("toxic").cast("bigint").alias("toxic")),
+        "Language": docs.select(ids.named("Language", F.col("lang")).alias("id"), F.col("lang").alias("name")).distinct(),
+        "Source": docs.select(ids.named("Source", F.col("source")).alias("id"), F.col("source").alias("name")).distinct(),
+        "Item": items.select(ids.node("Item", "item_id").alias("id")),
     }
-    edge = lambda label, df, dst: df.select(tagged(EDGE_KINDS[label], F.col("doc_id")).alias("eid"), _n("Document", "doc_id").alias("src"), dst.alias("dst"))
+    edge = lambda label, df, dst: df.select(ids.edge(label, "doc_id").alias("eid"), ids.node("Document", "doc_id").alias("src"), dst.alias("dst"))
     edges = {
-        "WRITTEN_IN": edge("WRITTEN_IN", docs, _named("Language", F.col("lang"))),
-        "FROM_SOURCE": edge("FROM_SOURCE", docs, _named("Source", F.col("source"))),
-        "COPY_OF": edge("COPY_OF", copies, _n("Document", "b")),
-        "HAS_PASSAGE_OF": passages.select(paired(EDGE_KINDS["HAS_PASSAGE_OF"], F.col("doc_id"), F.col("item_id")).alias("eid"), _n("Document", "doc_id").alias("src"), _n("Item", "item_id").alias("dst")),
+        "WRITTEN_IN": edge("WRITTEN_IN", docs, ids.named("Language", F.col("lang"))),
+        "FROM_SOURCE": edge("FROM_SOURCE", docs, ids.named("Source", F.col("source"))),
+        "COPY_OF": edge("COPY_OF", copies, ids.node("Document", "b")),
+        "HAS_PASSAGE_OF": passages.select(ids.pair("HAS_PASSAGE_OF", "doc_id", "item_id").alias("eid"), ids.node("Document", "doc_id").alias("src"), ids.node("Item", "item_id").alias("dst")),
     }
     return _graph(nodes, edges)
 
 
-def copy_groups(spark: SparkSession, folder: str) -> DataFrame:
+def copy_groups(spark: SparkSession, folder: str, wide: bool = False) -> DataFrame:
     """src, representative, copies, links, quality, not_bad_after: one row for each document that has copies.
 
     representative is the group's first document and links the number of COPY_OF steps from it, so documents of one
     representative are joined by a chain of as many steps as their links differ by; not_bad_after counts the later ones
     that no label calls bad. All pairs of a group follow from its rows, which grow as its documents do.
     """
+    ids = Ids(wide)
     docs, labels = read(spark, folder, "documents"), read(spark, folder, "labels")
     rows = docs.select("doc_id", F.sha2("text", 256).alias("h")).filter("h IS NOT NULL").join(labels.select("doc_id", F.col("quality").cast("bigint").alias("quality")), "doc_id", "left")
     group = Window.partitionBy("h")
     upto = group.orderBy("doc_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     not_bad = F.when(F.col("quality").eqNullSafe(F.lit(0)), 0).otherwise(1)
     out = rows.select(
-        _n("Document", "doc_id").alias("src"), _n("Document", F.min("doc_id").over(group)).alias("representative"), F.count(F.lit(1)).over(group).alias("copies"), (F.count(F.lit(1)).over(upto) - 1).alias("links"), "quality",
+        ids.node("Document", "doc_id").alias("src"), ids.node("Document", F.min("doc_id").over(group)).alias("representative"), F.count(F.lit(1)).over(group).alias("copies"), (F.count(F.lit(1)).over(upto) - 1).alias("links"), "quality",
         (F.sum(not_bad).over(group) - F.sum(not_bad).over(upto)).alias("not_bad_after"),
     )
     return out.filter("copies > 1")
 
 
-def web(spark: SparkSession, folder: str) -> PropertyGraph:
+def web(spark: SparkSession, folder: str, wide: bool = False) -> PropertyGraph:
     """Pages to the slugs that they link to and the hosts that they are on; vectors to their classes."""
+    ids = Ids(wide)
     pages, vectors = read(spark, folder, "pages"), read(spark, folder, "embeddings")
     hrefs = pages.select("page_id", F.posexplode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("at", "slug"))
     host = F.regexp_extract("url", "^[a-z]+://([^/?#]*)", 1)
     nodes = {
-        "Page": pages.select(_n("Page", "page_id").alias("id"), "url"),
-        "Slug": hrefs.select(_named("Slug", F.col("slug")).alias("id"), F.col("slug").alias("name")).distinct(),
-        "Host": pages.select(_named("Host", host).alias("id"), host.alias("name")).distinct(),
-        "Vector": vectors.select(_n("Vector", "vec_id").alias("id")),
-        "Class": vectors.select(_n("Class", "label").alias("id")).distinct(),
+        "Page": pages.select(ids.node("Page", "page_id").alias("id"), "url"),
+        "Slug": hrefs.select(ids.named("Slug", F.col("slug")).alias("id"), F.col("slug").alias("name")).distinct(),
+        "Host": pages.select(ids.named("Host", host).alias("id"), host.alias("name")).distinct(),
+        "Vector": vectors.select(ids.node("Vector", "vec_id").alias("id")),
+        "Class": vectors.select(ids.node("Class", "label").alias("id")).distinct(),
     }
     edges = {
-        "LINKS_TO": hrefs.select(tagged(EDGE_KINDS["LINKS_TO"], F.col("page_id") * 65536 + F.col("at")).alias("eid"), _n("Page", "page_id").alias("src"), _named("Slug", F.col("slug")).alias("dst")),
-        "ON_HOST": pages.select(tagged(EDGE_KINDS["ON_HOST"], F.col("page_id")).alias("eid"), _n("Page", "page_id").alias("src"), _named("Host", host).alias("dst")),
-        "HAS_CLASS": vectors.select(tagged(EDGE_KINDS["HAS_CLASS"], F.col("vec_id")).alias("eid"), _n("Vector", "vec_id").alias("src"), _n("Class", "label").alias("dst")),
+        "LINKS_TO": hrefs.select(ids.numbered("LINKS_TO", "page_id", F.col("at"), 65536).alias("eid"), ids.node("Page", "page_id").alias("src"), ids.named("Slug", F.col("slug")).alias("dst")),
+        "ON_HOST": pages.select(ids.edge("ON_HOST", "page_id").alias("eid"), ids.node("Page", "page_id").alias("src"), ids.named("Host", host).alias("dst")),
+        "HAS_CLASS": vectors.select(ids.edge("HAS_CLASS", "vec_id").alias("eid"), ids.node("Vector", "vec_id").alias("src"), ids.node("Class", "label").alias("dst")),
     }
     return _graph(nodes, edges)
 

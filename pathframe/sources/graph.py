@@ -9,17 +9,40 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Ids carry their kind in the bits from this one up, so node and edge ids never meet.
+#: Ids carry their kind in the bits from this one up, so node and edge ids never meet. Keys are checked as ids are made.
 KIND_BIT = 48
 
 
-def tagged(kind: int, key: Column) -> Column:
-    return F.lit(kind << KIND_BIT) + key.cast("bigint")
+#: Bits of each of the two keys of an edge that is known by its ends.
+PAIR_BITS = KIND_BIT // 2
+#: The same for wide ids, which are decimals of 38 digits: any two keys below 2^48.
+WIDE_KIND_BIT, WIDE_PAIR_BITS, WIDE_TYPE = 100, 48, "decimal(38,0)"
 
 
-def paired(kind: int, a: Column, b: Column) -> Column:
-    """Id of the one edge between two keys below 2^24; larger keys need ids of another type."""
-    return tagged(kind, a.cast("bigint") * (1 << 24) + b.cast("bigint"))
+def _power(bits: int) -> Column:
+    return F.lit(str(1 << bits)).cast(WIDE_TYPE)
+
+
+def _within(key: Column, bits: int) -> Column:
+    """key, or an error where it is out of range: an id is never another one's by overflow."""
+    key = key.cast("bigint")
+    told = F.concat(F.lit("key "), key.cast("string"), F.lit(f" doesn't fit {bits} bits: make the graph with wide ids"))
+    return F.when(key.isNull() | ((key >= 0) & (key < (1 << bits))), key).otherwise(F.raise_error(told).cast("bigint"))
+
+
+def tagged(kind: int, key: Column, wide: bool = False) -> Column:
+    """Id of a key below 2^48 (wide: any bigint that isn't negative)."""
+    if wide:
+        return (F.lit(str(kind << WIDE_KIND_BIT)).cast(WIDE_TYPE) + _within(key, 63)).cast(WIDE_TYPE)
+    return F.lit(kind << KIND_BIT) + _within(key, KIND_BIT)
+
+
+def paired(kind: int, a: Column, b: Column, wide: bool = False) -> Column:
+    """Id of the one edge between two keys below 2^24 (wide: below 2^48)."""
+    if wide:
+        pair = (_within(a, WIDE_PAIR_BITS).cast("decimal(15,0)") * F.lit(1 << WIDE_PAIR_BITS).cast("decimal(16,0)")).cast(WIDE_TYPE) + _within(b, WIDE_PAIR_BITS)
+        return (F.lit(str(kind << WIDE_KIND_BIT)).cast(WIDE_TYPE) + pair).cast(WIDE_TYPE)
+    return F.lit(kind << KIND_BIT) + _within(a, PAIR_BITS) * (1 << PAIR_BITS) + _within(b, PAIR_BITS)
 
 
 @dataclass(frozen=True)
@@ -34,6 +57,17 @@ class PropertyGraph:
     edge_tables: Mapping[str, DataFrame]
     node_kinds: Mapping[int, str] = field(default_factory=dict)
 
+    @property
+    def id_type(self) -> str:
+        """Type of all ids: bigint, or what the node tables have instead (wide decimals, strings)."""
+        return next((t.schema["id"].dataType.simpleString() for t in self.node_tables.values()), "bigint")
+
+    def kind_of(self, id_: Column) -> Column:
+        """Kind of a kind-tagged id."""
+        if self.id_type == "bigint":
+            return F.shiftright(id_, KIND_BIT).cast("int")
+        return F.floor(id_ / _power(WIDE_KIND_BIT)).cast("int")
+
     @property
     def codes(self) -> dict[str, int]:
         return {name: i for i, name in enumerate(sorted(k for k in self.edge_tables if k))}
@@ -43,7 +77,7 @@ class PropertyGraph:
         return {i: name for name, i in self.codes.items()}
 
     def nodes(self) -> PathSet:
-        rows = [t.select(F.col("id").alias("src"), F.col("id").alias("dst"), F.lit(0).alias("len"), F.array("id").alias("nodes"), F.array().cast("array<bigint>").alias("edges"), F.array().cast("array<smallint>").alias("elabels")) for t in self.node_tables.values()]
+        rows = [t.select(F.col("id").alias("src"), F.col("id").alias("dst"), F.lit(0).alias("len"), F.array("id").alias("nodes"), F.array().cast(f"array<{self.id_type}>").alias("edges"), F.array().cast("array<smallint>").alias("elabels")) for t in self.node_tables.values()]
         return PathSet(reduce(DataFrame.unionByName, rows), self, Facts(0, 0, True))
 
     def edges(self, labels: Iterable[str] | None = None) -> PathSet:
