@@ -1,8 +1,9 @@
 """The recursive operator in five semantics, bounded walks of the k best, and baselines of the fixpoint itself.
 
-Every round joins the newest paths with the step relation on last = first and keeps what the mode allows. A round's
-rows are checkpointed in the session's shared folder, which cuts the lineage and keeps plans as small in the last
-round as in the first, and counted, to see whether anything is left.
+Every round joins the newest paths with the step relation on last = first and keeps what the mode allows. The step
+relation and each round's rows are written to the session's shared folder, which cuts the lineage and keeps plans as
+small in the last round as in the first; a round is counted as it is written, to see whether anything is left. Nothing
+is cached, so nothing is left behind in executors, and a lost one costs no more than its tasks.
 """
 
 from __future__ import annotations
@@ -10,12 +11,11 @@ from __future__ import annotations
 from dataclasses import dataclass, field, replace
 from functools import reduce
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import paths as P
-from ..sources.shared import checkpointed
+from ..sources.shared import written
 from .pathset import Facts, PathSet, least_per_pair
 
 MODES = ("walk", "trail", "acyclic", "simple", "shortest")
@@ -35,28 +35,26 @@ class BudgetError(RuntimeError):
 
 @dataclass
 class Log:
-    """Rounds of one recursion: (round, rows kept) and how it ended."""
+    """Rounds of one recursion: (round, rows kept), the longest path of each, and how it ended; with detail, of each
+    round also the pairs that met, and those of them that the mode pruned or that were there before."""
 
     rounds: list[tuple[int, int]] = field(default_factory=list)
     ended: str = ""
-
-
-_held: list[DataFrame] = []
-
-
-def release() -> None:
-    """Let go of the step relations that past recursions keep; results still in use are computed again when read."""
-    while _held:
-        _held.pop().unpersist()
+    detail: bool = False
+    longest: list[int] = field(default_factory=list)
+    met: dict[int, int] = field(default_factory=dict)
+    pruned: dict[int, int] = field(default_factory=dict)
+    repeated: dict[int, int] = field(default_factory=dict)
 
 
 def _keep(df: DataFrame, level: int, log: Log) -> tuple[DataFrame, int]:
-    df = checkpointed(df)
-    n = df.count()
-    log.rounds.append((level, n))
-    if n > BUDGET:
-        raise BudgetError(f"round {level} made {n} paths, more than {BUDGET}")
-    return df, n
+    longest = F.max("len" if "len" in df.columns else F.lit(0))
+    df, seen = written(df, n=F.count(F.lit(1)), longest=longest)
+    log.rounds.append((level, seen["n"]))
+    log.longest.append(seen["longest"] or 0)
+    if seen["n"] > BUDGET:
+        raise BudgetError(f"round {level} made {seen['n']} paths, more than {BUDGET}")
+    return df, seen["n"]
 
 
 def _seeded(df: DataFrame, seed) -> DataFrame:
@@ -100,10 +98,8 @@ def recurse(paths: PathSet, mode: str = "walk", *, seed=None, direction: str = "
 
 
 def _kept(df: DataFrame) -> DataFrame:
-    """A relation that every round reads, kept in memory and on disk until release(); a lost part is computed again."""
-    df = df.persist(StorageLevel.MEMORY_AND_DISK)
-    _held.append(df)
-    return df
+    """A relation that every round reads."""
+    return written(df)[0]
 
 
 def _step_side(steps: PathSet, mode: str) -> DataFrame:
@@ -114,14 +110,26 @@ def _facts(steps: PathSet, max_len: int | None) -> Facts:
     return Facts(steps.facts.least, max_len, True, steps.facts.labels)
 
 
-def _extend(delta: DataFrame, step: DataFrame, mode: str, max_len: int | None) -> DataFrame:
+def _extend(delta: DataFrame, step: DataFrame, mode: str, max_len: int | None, log: Log | None = None, level: int = 0) -> DataFrame:
     a, b = delta.alias("a"), step.alias("b")
-    on = (F.col("a.dst") == F.col("b.src")) & P.may_follow(mode)
+    on = F.col("a.dst") == F.col("b.src")
+    lawful = P.may_follow(mode)
     if max_len is not None:
         on &= F.col("a.len") + F.col("b.len") <= max_len
     if mode == "simple":  # a closed path is an answer and goes no further
-        on &= (F.col("a.src") != F.col("a.dst")) | (F.col("a.len") == 0)
-    return a.join(b, on).select(*P.concatenated())
+        lawful &= (F.col("a.src") != F.col("a.dst")) | (F.col("a.len") == 0)
+    if log is not None and log.detail:
+        n = F.count(F.lit(1))
+        met, seen = written(a.join(b, on).select(*P.concatenated(), lawful.alias("lawful")), met=n, kept=F.count_if("lawful"))
+        log.met[level], log.pruned[level] = seen["met"], seen["met"] - seen["kept"]
+        return met.filter("lawful").drop("lawful")
+    return a.join(b, on & lawful).select(*P.concatenated())
+
+
+def _unknown(grown: DataFrame, levels: list[DataFrame]) -> DataFrame:
+    """grown without repeats and without the paths of the rounds before."""
+    known = reduce(DataFrame.unionByName, levels).select(F.col("src").alias("__src"), F.col("edges").alias("__edges"))
+    return grown.dropDuplicates(["src", "edges"]).join(known, (F.col("src") == F.col("__src")) & (F.col("edges") == F.col("__edges")), "left_anti")
 
 
 def _grow(steps: PathSet, mode: str, seed, max_len: int | None, log: Log) -> PathSet:
@@ -135,11 +143,13 @@ def _grow(steps: PathSet, mode: str, seed, max_len: int | None, log: Log) -> Pat
     bound = None if max_len is None else -(-max_len // max(1, steps.facts.least))
     while True:
         last_round = bound is not None and level >= bound
-        if last_round and steps.facts.uniform:
-            levels.append(delta)  # nothing can follow, so nobody need count it
+        if last_round and steps.facts.uniform and not log.detail:
+            levels.append(delta)  # nothing can follow, so nobody need count it; it reads written tables alone
             log.ended = "bound"
             break
         delta, n = _keep(delta, level, log)
+        if level in log.met:
+            log.repeated[level] = log.met[level] - log.pruned[level] - n
         if n == 0 and level > 1:
             log.ended = "fixpoint"
             break
@@ -147,14 +157,35 @@ def _grow(steps: PathSet, mode: str, seed, max_len: int | None, log: Log) -> Pat
         if last_round or n == 0:
             log.ended = "bound" if n else "fixpoint"
             break
-        grown = _extend(delta, step, mode, max_len)
-        if not steps.facts.uniform:
-            known = reduce(DataFrame.unionByName, levels).select(F.col("src").alias("__src"), F.col("edges").alias("__edges"))
-            grown = grown.dropDuplicates(["src", "edges"]).join(known, (F.col("src") == F.col("__src")) & (F.col("edges") == F.col("__edges")), "left_anti")
-        delta, level = grown, level + 1
+        grown = _extend(delta, step, mode, max_len, log, level + 1)
+        delta, level = grown if steps.facts.uniform else _unknown(grown, levels), level + 1
     return PathSet(reduce(DataFrame.unionByName, levels), steps.graph, _facts(steps, max_len))
 
 
+def between(steps: PathSet, first, last, mode: str = "trail", max_len: int = 6, log: Log | None = None) -> PathSet:
+    """Paths from the nodes of `first` to those of `last` by meeting in the middle: paths of at most half the length grow
+    from either end and are joined where they meet, so neither side is ever grown to the whole length.
+
+    Steps have one length. A path longer than the forward half is cut there, in one place, so no path is made twice.
+    """
+    if not steps.facts.uniform:
+        raise ValueError("two-sided search is for steps of one length")
+    if mode not in ("walk", "trail", "acyclic", "simple"):
+        raise ValueError(f"no two-sided search for {mode!r}")
+    least = max(1, steps.facts.least)
+    rounds = max_len // least
+    half = (rounds + 1) // 2
+    # inside a closed simple path the halves are acyclic but for its ends; trails and walks are closed under parts
+    ahead = recurse(steps, mode, seed=first, max_len=half * least, log=log)
+    behind = recurse(steps, mode, seed=last, direction="backward", max_len=(rounds - half) * least, log=log) if rounds > half else None
+    ends = _seeded(ahead.df.select(F.col("dst").alias("src"), F.struct(*P.PATH_COLUMNS).alias("path")), last).select("path.*")
+    if behind is None:
+        return PathSet(ends, steps.graph, _facts(steps, max_len))
+    full = ahead.df.filter(F.col("len") == half * least)
+    joined = _extend(full, behind.df, mode, max_len)
+    return PathSet(ends.unionByName(joined), steps.graph, _facts(steps, max_len))
+
+
 def _naive(steps: PathSet, mode: str, seed, max_len: int | None, log: Log) -> PathSet:
     """Baseline: each round joins everything found so far with the steps, and stops when the set grows no more."""
     step = _step_side(steps, mode)
@@ -173,23 +204,37 @@ def _naive(steps: PathSet, mode: str, seed, max_len: int | None, log: Log) -> Pa
 
 
 def refuse_cycles(steps: PathSet, seed=None, rounds: int = 100_000) -> None:
-    """Raise unless the ends of the steps, as far as the seed reaches, form no cycle: ends without a way on are taken
-    away again and again, and a rest that stays holds a cycle."""
+    """Raise unless the ends of the steps, as far as the seed reaches, form no cycle.
+
+    Where each node has one way on at most (chains of events, turns or copies), ways are doubled: after k rounds each
+    node points 2^k steps on, or has left the graph, so a chain of n steps takes log n rounds. Else nodes without a way
+    on, or without a way in, are taken away again and again, from both ends; a rest that stays holds a cycle.
+    """
+    fault = InfiniteWalkError("walks over a cycle have no bound: give max_len, or a selector that bounds them")
     ends = _kept(steps.endpoints())
     if seed is not None:
         reach = closure(ends, seed).select(F.col("dst").alias("__on")).distinct()
         firsts = _seeded(ends, seed)
         ends = ends.join(reach, F.col("src") == F.col("__on"), "left_semi").union(firsts).distinct()
-    n, level = None, 0
-    for _ in range(rounds):
-        level += 1
-        ends, m = _keep(ends, level, Log())
-        if m == 0:
+    ends, n = _keep(ends, 1, Log())
+    most = ends.groupBy("src").count().agg(F.max("count")).first()[0] or 0
+    if most <= 1:
+        for level in range(n.bit_length() + 1):
+            if n == 0:
+                return
+            on = ends.select(F.col("src").alias("__on"), F.col("dst").alias("__to"))
+            ends, n = _keep(ends.join(on, F.col("dst") == F.col("__on")).select("src", F.col("__to").alias("dst")), level, Log())
+        if n:
+            raise fault
+        return
+    for level in range(rounds):
+        if n == 0:
             return
+        onward, inward = ends.select(F.col("src").alias("__on")).distinct(), ends.select(F.col("dst").alias("__in")).distinct()
+        ends, m = _keep(ends.join(onward, F.col("dst") == F.col("__on"), "left_semi").join(inward, F.col("src") == F.col("__in"), "left_semi"), level, Log())
         if m == n:
-            raise InfiniteWalkError("walks over a cycle have no bound: give max_len, or a selector that bounds them")
+            raise fault
         n = m
-        ends = ends.join(ends.select(F.col("src").alias("__on")).distinct(), F.col("dst") == F.col("__on"), "left_semi")
 
 
 def closure(ends: DataFrame, seed=None, log: Log | None = None) -> DataFrame:
@@ -227,11 +272,30 @@ def distances(steps: PathSet, seed=None, max_len: int | None = None, log: Log |
 
 
 def _shortest(steps: PathSet, seed, max_len: int | None, log: Log) -> PathSet:
-    """Distances first; then paths grow along steps that lose nothing, so no path is made that is beaten later."""
+    """Steps of one length: a round's paths are shortest where no round before has their ends, so paths grow and pairs
+    close in one recursion. Steps of several: distances first, then paths along steps that lose nothing. Either way no
+    path is made that is beaten later."""
+    step = _step_side(replace(steps, df=least_per_pair(steps.df)), "shortest")
+    first, levels, level = _seeded(step, seed), [], 1
+    if steps.facts.uniform:
+        pairs: list[DataFrame] = []
+        bound = None if max_len is None else max_len // max(1, steps.facts.least)
+        delta = first if bound != 0 else first.limit(0)
+        while True:
+            delta, n = _keep(delta, level, log)
+            if n or level == 1:
+                levels.append(delta)
+            if n == 0 or level == bound:
+                break
+            pairs.append(delta.select(F.col("src").alias("__s"), F.col("dst").alias("__t")).distinct())
+            closed = reduce(DataFrame.unionByName, pairs)
+            delta = _extend(delta, step, "walk", max_len).join(closed, (F.col("src") == F.col("__s")) & (F.col("dst") == F.col("__t")), "left_anti")
+            level += 1
+        log.ended = "fixpoint" if n == 0 else "bound"
+        return PathSet(reduce(DataFrame.unionByName, levels), steps.graph, _facts(steps, max_len))
     best = distances(steps, seed, max_len, log).select(F.col("src").alias("__s"), F.col("dst").alias("__t"), F.col("d").alias("__d"))
     tight = lambda df: df.join(best, (F.col("src") == F.col("__s")) & (F.col("dst") == F.col("__t")) & (F.col("len") == F.col("__d")), "left_semi")
-    step = _step_side(replace(steps, df=least_per_pair(steps.df)), "shortest")
-    delta, levels, level = tight(_seeded(step, seed)), [], 1
+    delta = tight(first)
     while True:
         delta, n = _keep(delta, level, log)
         if n == 0 and level > 1:
@@ -239,38 +303,54 @@ def _shortest(steps: PathSet, seed, max_len: int | None, log: Log) -> PathSet:
         levels.append(delta)
         if n == 0:
             break
-        grown = tight(_extend(delta, step, "walk", max_len))
-        if not steps.facts.uniform:
-            known = reduce(DataFrame.unionByName, levels).select(F.col("src").alias("__src"), F.col("edges").alias("__edges"))
-            grown = grown.dropDuplicates(["src", "edges"]).join(known, (F.col("src") == F.col("__src")) & (F.col("edges") == F.col("__edges")), "left_anti")
-        delta, level = grown, level + 1
+        delta, level = _unknown(tight(_extend(delta, step, "walk", max_len)), levels), level + 1
     log.ended = "fixpoint"
     return PathSet(reduce(DataFrame.unionByName, levels), steps.graph, _facts(steps, max_len))
 
 
 def _k_best(steps: PathSet, seed, keep: tuple[str, int], max_len: int | None, log: Log) -> PathSet:
     """Walks bounded by pair of ends: the k first by (length, nodes, edges), or all of the k least lengths. The part
-    before the last step of a kept walk is kept for its own pair, so each round may drop the rest."""
+    before the last step of a kept walk is kept for its own pair, so each round may drop the rest.
+
+    With steps of one length every round's walks are longer than all before, so only the newest are ranked, behind a
+    count for each pair of what it has; with steps of several, all that is known is ranked again.
+    """
     how, k = keep
     by = Window.partitionBy("src", "dst")
+    out_facts = Facts(steps.facts.least, max_len, True, steps.facts.labels)
+    if steps.facts.uniform:
+        took = F.count(F.lit(1)) if how == "k_shortest" else F.countDistinct("len")
+        delta, levels, counts, level = _seeded(steps.df, seed), [], [], 1
+        while True:
+            if how == "k_shortest":  # the ranks of the newest, then room for them; the window drops most before its exchange
+                delta = delta.withColumn("__r", F.row_number().over(by.orderBy(*P.TIE))).filter(F.col("__r") <= k)
+            else:
+                delta = delta.withColumn("__r", F.lit(1))
+            if counts:
+                had = reduce(DataFrame.unionByName, counts).groupBy("__s", "__t").agg(F.sum("__n").alias("__had"))
+                delta = delta.join(had, (F.col("src") == F.col("__s")) & (F.col("dst") == F.col("__t")), "left").filter(F.col("__r") + F.coalesce("__had", F.lit(0)) <= k)
+            delta, n = _keep(delta.select(*P.PATH_COLUMNS), level, log)
+            levels.append(delta)
+            if n == 0 or (max_len is not None and (level + 1) * steps.facts.least > max_len):
+                break
+            counts.append(delta.groupBy(F.col("src").alias("__s"), F.col("dst").alias("__t")).agg(took.alias("__n")))
+            delta, level = _extend(delta, steps.df, "walk", max_len), level + 1
+        log.ended = "fixpoint" if n == 0 else "bound"
+        return PathSet(reduce(DataFrame.unionByName, levels), steps.graph, out_facts)
     rank = F.row_number().over(by.orderBy(*P.TIE)) if how == "k_shortest" else F.dense_rank().over(by.orderBy("len"))
     cut = lambda df: df.withColumn("__r", rank).filter(F.col("__r") <= k).drop("__r")
-    step = steps.df
-    start = _seeded(step, seed)
-    found, n = _keep(cut(start).withColumn("__new", F.lit(True)), 1, log)
+    found, n = _keep(cut(_seeded(steps.df, seed)).withColumn("__new", F.lit(True)), 1, log)
     level = 1
     while n:
         level += 1
-        delta = found.filter("__new").drop("__new")
-        grown = _extend(delta, step, "walk", max_len).withColumn("__new", F.lit(True))
+        grown = _extend(found.filter("__new").drop("__new"), steps.df, "walk", max_len).withColumn("__new", F.lit(True))
         both = found.withColumn("__new", F.lit(False)).unionByName(grown)
-        if not steps.facts.uniform:
-            both = both.groupBy("src", "edges").agg(*[F.first(c).alias(c) for c in ("dst", "len", "nodes", "elabels")], F.min("__new").alias("__new"))
-        found, _ = _keep(cut(both), level, Log())
-        n = found.filter("__new").count()
+        both = both.groupBy("src", "edges").agg(*[F.first(c).alias(c) for c in ("dst", "len", "nodes", "elabels")], F.min("__new").alias("__new"))
+        found, seen = written(cut(both), n=F.count_if("__new"))
+        n = seen["n"]
         log.rounds.append((level, n))
     log.ended = "fixpoint"
-    return PathSet(found.select(*P.PATH_COLUMNS), steps.graph, Facts(steps.facts.least, max_len, True, steps.facts.labels))
+    return PathSet(found.select(*P.PATH_COLUMNS), steps.graph, out_facts)
 
 
 def sql_recursion(spark, edges: DataFrame, mode: str, max_len: int) -> DataFrame:

@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -33,3 +34,16 @@ def checkpointed(df: DataFrame) -> DataFrame:
         spark.sparkContext.setCheckpointDir(top)
     df = df.checkpoint()
     return df.select(*[F.col(f"`{c}`").alias(c) for c in df.columns])
+
+
+def written(df: DataFrame, **measures: Column) -> tuple[DataFrame, dict]:
+    """df written once as Parquet in the shared folder and read again, with aggregates taken on the way, in the same job.
+
+    Lineage is cut, later reads take only their columns, and Spark knows the size. A checkpoint would run df twice and
+    count it in a third job.
+    """
+    spark, seen = df.sparkSession, Observation()
+    path = f"{shared_top(spark)}/round-{uuid.uuid4().hex}"
+    schema = df.schema
+    (df.observe(seen, *[c.alias(k) for k, c in measures.items()]) if measures else df).write.parquet(path)
+    return spark.read.schema(schema).parquet(path), dict(seen.get) if measures else {}
