@@ -137,9 +137,38 @@ class Not(Condition):
         return f"NOT {self.a}"
 
 
+@dataclass(frozen=True, eq=False)
+class Quantified(Condition):
+    """Whether every ("all") or some ("some") node or edge of a path meets a condition, which is put for a single one: on
+    FIRST for nodes, on edge(1) for edges. A path without edges meets any condition on all its edges, and none on some."""
+
+    how: str
+    what: str
+    inner: Condition
+
+    def __str__(self) -> str:
+        return f"{self.how} {self.what}s: {self.inner}"
+
+
 FIRST, LAST = Place("first"), Place("last")
 
 
+def every_node(inner: Condition) -> Quantified:
+    return Quantified("all", "node", inner)
+
+
+def some_node(inner: Condition) -> Quantified:
+    return Quantified("some", "node", inner)
+
+
+def every_edge(inner: Condition) -> Quantified:
+    return Quantified("all", "edge", inner)
+
+
+def some_edge(inner: Condition) -> Quantified:
+    return Quantified("some", "edge", inner)
+
+
 def node(i: int) -> Place:
     return Place("node", i)
 
@@ -160,7 +189,13 @@ def length() -> Term:
     return Term("len")
 
 
+def quantified(c: Condition) -> list[Quantified]:
+    return [c] if isinstance(c, Quantified) else [] if isinstance(c, Test) else quantified(c.a) + (quantified(c.b) if hasattr(c, "b") else [])  # type: ignore[attr-defined]
+
+
 def tests(c: Condition) -> list[Test]:
+    if isinstance(c, Quantified):
+        return []
     return [c] if isinstance(c, Test) else tests(c.a) if isinstance(c, Not) else tests(c.a) + tests(c.b)  # type: ignore[attr-defined]
 
 
@@ -172,6 +207,9 @@ def satisfied(df: DataFrame, graph: PropertyGraph, condition: Condition) -> Data
     """Rows of df that meet the condition. A node label or property costs one left join with the tables that own it
     (edge labels and the labels of kind-tagged nodes ride in the row); only the named column is read there."""
     columns, values = df.columns, {}
+    for k, q in enumerate(quantified(condition)):
+        df = df.join(_holding(df, graph, q).withColumn(f"__q{k}", F.lit(True)).withColumnsRenamed({"src": f"__s{k}", "edges": f"__e{k}"}), (F.col("src") == F.col(f"__s{k}")) & (F.col("edges") == F.col(f"__e{k}")), "left")
+        values[id(q)] = F.col(f"__q{k}").isNotNull() if q.how == "some" else F.col(f"__q{k}").isNull()
     for k, term in enumerate({t.term.key(): t.term for t in tests(condition)}.values()):
         name = f"__v{k}"
         values[term.key()] = F.col(name)
@@ -194,7 +232,20 @@ def satisfied(df: DataFrame, graph: PropertyGraph, condition: Condition) -> Data
     return df.filter(_column(condition, values)).select(*columns)
 
 
+def _holding(df: DataFrame, graph: PropertyGraph, q: Quantified) -> DataFrame:
+    """src, edges of the paths with an element that meets (some) or fails (all) the condition: elements are joined with
+    those that meet it, found once in the graph."""
+    if q.what == "node":
+        meet = satisfied(graph.nodes().df, graph, q.inner).select(F.col("src").alias("__id"))
+    else:
+        meet = satisfied(graph.edges().df, graph, q.inner).select(F.element_at("edges", 1).alias("__id"))
+    hops = df.select("src", "edges", F.explode("nodes" if q.what == "node" else "edges").alias("__at"))
+    return hops.join(meet, F.col("__at") == F.col("__id"), "left_semi" if q.how == "some" else "left_anti").select("src", "edges").distinct()
+
+
 def _column(c: Condition, values: dict) -> Column:
+    if isinstance(c, Quantified):
+        return values[id(c)]
     if isinstance(c, And):
         return _column(c.a, values) & _column(c.b, values)
     if isinstance(c, Or):

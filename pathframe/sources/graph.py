@@ -27,7 +27,7 @@ def _within(key: Column, bits: int) -> Column:
     """key, or an error where it is out of range: an id is never another one's by overflow."""
     key = key.cast("bigint")
     told = F.concat(F.lit("key "), key.cast("string"), F.lit(f" doesn't fit {bits} bits: make the graph with wide ids"))
-    return F.when(key.isNull() | ((key >= 0) & (key < (1 << bits))), key).otherwise(F.raise_error(told).cast("bigint"))
+    return F.when(key.isNull() | ((key >= 0) & (key <= (1 << bits) - 1)), key).otherwise(F.raise_error(told).cast("bigint"))
 
 
 def tagged(kind: int, key: Column, wide: bool = False) -> Column:

@@ -71,3 +71,8 @@ def register_views(spark: SparkSession, graph: PropertyGraph, prefix: str = "")
     """Temporary views of the graph's nodes and edges as path rows, for SQL."""
     graph.nodes().df.createOrReplaceTempView(f"{prefix}nodes_paths")
     graph.edges().df.createOrReplaceTempView(f"{prefix}edge_paths")
+
+
+def register_result(paths: PathSet, name: str) -> None:
+    """Temporary view of a set of paths: its columns and the word of each path, for SQL."""
+    paths.df.withColumn("word", paths.word()).createOrReplaceTempView(name)
