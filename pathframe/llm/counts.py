@@ -1,4 +1,10 @@
-"""Token counts: pieces counted once for each distinct pre-token, joined to the pre-tokens of each document."""
+"""Token counts: pieces counted for each distinct pre-token, joined to each document's pre-token frequencies and summed.
+
+Both tables are those of a slice of texts, in its worker: a table of all pre-tokens of a corpus would be as large as a
+good part of it (each megabyte of these texts has some 12,000 words that none before it had), and joining it to all
+documents' frequencies would shuffle each document's words there and its sums back. A worker remembers MEMO pre-tokens
+between slices, so a common one is counted once in a worker, and a rare one once in each slice that has it.
+"""
 
 from __future__ import annotations
 
@@ -46,10 +52,13 @@ class PieceCounter:
         words = pc.ascii_split_whitespace(texts)
         starts = words.offsets.to_numpy().astype(np.int64) - words.offsets[0].as_py()
         coded = words.flatten().dictionary_encode()
-        # frequencies of pre-tokens by document, joined to the counts by code and summed
-        total = np.zeros(len(coded) + 1, np.int64)
-        np.cumsum(self.pieces(coded.dictionary.to_pylist())[coded.indices.to_numpy()], out=total[1:])
-        out = total[starts[1:]] - total[starts[:-1]]
+        n, size = len(texts), max(1, len(coded.dictionary))
+        # the frequency table: one row for each document and pre-token in it, keyed by code
+        rows = np.repeat(np.arange(n), np.diff(starts))
+        keys, frequency = np.unique(rows * size + coded.indices.to_numpy(), return_counts=True)
+        # joined with the pieces of each distinct pre-token by code, and summed by document; no ids are made
+        pieces = self.pieces(coded.dictionary.to_pylist())
+        out = np.bincount(keys // size, weights=frequency * pieces[keys % size], minlength=n).astype(np.int64) if len(keys) else np.zeros(n, np.int64)
         for special in self.special:  # the library cuts these strings out before it splits
             held = np.flatnonzero(pc.match_substring(texts, special).to_numpy(zero_copy_only=False))
             if len(held):
