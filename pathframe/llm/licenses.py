@@ -136,7 +136,9 @@ def scan_licenses(docs: DataFrame, phrases: Mapping[str, str] = PHRASES, templat
 
 
 def oracle_sql(templates=TEMPLATES, threshold: float = CONTAINMENT) -> str:
+    """The same from all words of each paragraph in a row: a line's own and those that follow it, by their numbers."""
     listed = ", ".join(f"({i}, '{label}', {sorted(set(text.split()))!r})" for i, (label, text) in enumerate(templates))
+    onward = 2 * max(len(text.split()) for _, text in templates)
     fold = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
     return f"""
 WITH templates(i, label, ws) AS (VALUES {listed}),
@@ -148,7 +150,12 @@ hits AS (
   UNION ALL SELECT r, i - 1, 'apache' FROM p WHERE ws[i] = 'apache' AND ws[i + 1] = 'license'
   UNION ALL SELECT r, i - 1, 'gpl' FROM p WHERE ws[i] = 'general' AND ws[i + 1] = 'public' AND ws[i + 2] = 'license'),
 base AS (SELECT r, count(*) AS n, min(place) AS a, max(place) AS b FROM hits GROUP BY r),
-b AS (SELECT r, list_distinct(regexp_extract_all(unnest(string_split(t, chr(10))), '[0-9a-z\\x{{80}}-\\x{{10FFFF}}]+')) AS ws FROM w),
+split AS (SELECT r, generate_subscripts(ls, 1) AS l, unnest(ls) AS line FROM (SELECT r, string_split(t, chr(10)) AS ls FROM w)),
+told AS (SELECT r, l, regexp_extract_all(line, '[0-9a-z\\x{{80}}-\\x{{10FFFF}}]+') AS ws FROM split),
+para AS (SELECT r, l, ws, sum(CASE WHEN len(ws) = 0 THEN 1 ELSE 0 END) OVER (PARTITION BY r ORDER BY l) AS p FROM told),
+run AS (SELECT r, p, flatten(list(ws ORDER BY l)) AS all_ws FROM para WHERE len(ws) > 0 GROUP BY r, p),
+line AS (SELECT r, p, len(ws) AS n, sum(len(ws)) OVER (PARTITION BY r, p ORDER BY l) AS upto FROM para WHERE len(ws) > 0),
+b AS (SELECT r, list_distinct(all_ws[upto - n + 1 : upto + {onward}]) AS ws FROM line JOIN run USING (r, p)),
 m AS (SELECT r, label, len(list_intersect(b.ws, templates.ws)) / len(templates.ws) AS c FROM b, templates
       WHERE len(list_intersect(b.ws, templates.ws)) * 1000 >= {round(threshold * 1000)} * len(templates.ws)),
 best AS (SELECT r, max(c) AS c FROM m GROUP BY r),
