@@ -110,7 +110,8 @@ def luhn(digits: Column) -> Column:
 
 
 def _fits(s: Column) -> Column:
-    """Whether a match is a span of its kind (the stated ones) or a candidate (the method's)."""
+    """Whether a match is a span of its kind (the stated ones) or a candidate (the method's: values after a cue and long
+    tokens with two digits, grouped digits, given names or titles with a surname, and street addresses)."""
     found, kind = s["found"], s["kind"]
     count = F.length(_digits(found))
     of = lambda k: kind == KINDS.index(k)
@@ -122,12 +123,6 @@ def _fits(s: Column) -> Column:
     )
 
 
-def spans_in(text: Column, kinds: tuple[str, ...]) -> Column:
-    """Spans of the stated kinds and candidates of the method's: values after a cue and long tokens with two digits,
-    grouped digits, given names or titles with a surname, and street addresses."""
-    return F.filter(placed(found_in(text, kinds)), _fits)
-
-
 #: Labelers by name: two of formats (regex), two of words around (context), two gazetteers, and one of the build of a token.
 LABELERS = ("format", "check digit", "cue", "contact", "assignment", "known words", "build")
 
