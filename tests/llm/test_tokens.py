@@ -185,3 +185,17 @@ def test_store_of_odd_ids(spark):
     for r in got:
         assert r["start"] == at
         at += r["n_tokens"]
+
+
+def test_a_workers_memory_of_states_is_small():
+    import tracemalloc
+
+    machine = transducer.codec(RANKS, public_tokenizers.PATTERN).machine
+    rng = random.Random(5)
+    machine.reset()
+    pieces = sorted({" " + "".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=rng.randint(4, 12))) for _ in range(8000)})
+    tracemalloc.start()
+    machine.encode_sorted([p.encode() for p in pieces])
+    held = tracemalloc.get_traced_memory()[0] / len(machine.moves)
+    tracemalloc.stop()
+    assert held * transducer.TRANSITIONS < 110e6
