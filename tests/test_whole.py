@@ -1,7 +1,10 @@
 """Queries that give the whole answer where their bounded neighbours, checked by SQL, give a part of it."""
 
+import random
+
 from pyspark.sql import functions as F
 
+from pathframe.operators.recursion import Log, closure
 from pathframe.queries import catalogue
 from pathframe.sources import catalog
 
@@ -70,3 +73,15 @@ def test_passages_of_short_items(spark, tmp_path, monkeypatch):
         monkeypatch.setattr(catalog, "AUTOMATON_BYTES", most)
         rows = catalogue.queries()["doc_passage_quality"](spark, str(tmp_path)).collect()
         assert {(r["src"] - (10 << 48), r["dst"] - (13 << 48)) for r in rows} == want and len(rows) == len(want)
+
+
+def test_closure_writes_hubs_not_their_pairs(spark):
+    rng = random.Random(4)
+    ring = {(k, (k + 1) % 12) for k in range(12)} | {(40, 0), (41, 40), (7, 50), (50, 51), (41, 51), (60, 60), (70, 71), (71, 72), (70, 72)}
+    some = {(100 + rng.randrange(20), 100 + rng.randrange(20)) for _ in range(22)} | {(200 + rng.randrange(9), 200 + rng.randrange(9)) for _ in range(20)}
+    log = Log()
+    rows = closure(spark.createDataFrame(sorted(ring | some), "src long, dst long"), log=log).collect()
+    assert {(r["src"], r["dst"]) for r in rows} == set(far(ring | some)) and len(rows) == len(set(rows))
+    log = Log()
+    assert closure(spark.createDataFrame(sorted(ring), "src long, dst long"), log=log).count() > 200
+    assert sum(n for _, n in log.rounds) < 80
