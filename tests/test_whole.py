@@ -4,6 +4,7 @@ import random
 
 from pyspark.sql import functions as F
 
+from pathframe.operators.pathset import PathSet, co_ended
 from pathframe.operators.recursion import Log, closure
 from pathframe.queries import catalogue
 from pathframe.sources import catalog
@@ -85,3 +86,13 @@ def test_closure_writes_hubs_not_their_pairs(spark):
     log = Log()
     assert closure(spark.createDataFrame(sorted(ring), "src long, dst long"), log=log).count() > 200
     assert sum(n for _, n in log.rounds) < 80
+
+
+def test_pairs_of_common_ends_come_from_classes(spark):
+    rng = random.Random(6)
+    links = {k: {rng.randrange(6) for _ in range(rng.randint(1, 3))} for k in range(40)}
+    rows = [(k, 100 + v) for k, ends in links.items() for v in ends for _ in range(rng.randint(1, 2))]
+    got = co_ended(PathSet(spark.createDataFrame(rows, "src long, dst long"), None))
+    want = {(a, b): len(links[a] & links[b]) for a in links for b in links if a < b and links[a] & links[b]}
+    assert {(r["src"], r["dst"]): r["shared"] for r in got.collect()} == want and got.count() == len(want)
+    assert "Aggregate" not in got._jdf.queryExecution().optimizedPlan().toString()  # no row of a pair is shuffled
