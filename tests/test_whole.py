@@ -10,6 +10,9 @@ from pathframe.queries import catalogue
 from pathframe.sources import catalog
 
 
+SMALL = "/root/testdata/sf0.001"
+
+
 def far(ends):
     """{(src, dst): least number of steps}, one or more, by breadth-first search from every node."""
     out, ways = {}, {}
@@ -96,3 +99,15 @@ def test_pairs_of_common_ends_come_from_classes(spark):
     want = {(a, b): len(links[a] & links[b]) for a in links for b in links if a < b and links[a] & links[b]}
     assert {(r["src"], r["dst"]): r["shared"] for r in got.collect()} == want and got.count() == len(want)
     assert "Aggregate" not in got._jdf.queryExecution().optimizedPlan().toString()  # no row of a pair is shuffled
+
+
+def test_plans_and_languages_read_tables(spark, tmp_path):
+    spark.createDataFrame([(1, "A"), (2, None), (3, "B c"), (4, 'D"')], "s_suppkey long, s_name string").write.parquet(f"{tmp_path}/supplier.parquet")
+    rows = catalogue.queries()["plan_text"](spark, str(tmp_path)).collect()
+    for key, name in ((1, "A"), (3, "B c")):
+        plan = [r["plan"] for r in sorted(rows, key=lambda r: r["line"]) if r["supplier"] == key]
+        assert plan[0] == "as written" and "as run" in plan and sum(f'first.name = "{name}"' in x for x in plan) == 3
+    assert {r["supplier"] for r in rows} == {1, 3, 4}
+    own = catalogue.queries()["expressiveness"](spark, SMALL).collect()
+    assert {r["label"]: r["edges"] for r in own}["LIVES_IN"] == spark.read.parquet(f"{SMALL}/customer.parquet").count()
+    assert {r["language"]: r["combinations"] for r in own} == {"standard": 28, "algebra, printed": 1960, "algebra, all": 2560} and len(own) == 18
