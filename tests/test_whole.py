@@ -111,3 +111,19 @@ def test_plans_and_languages_read_tables(spark, tmp_path):
     own = catalogue.queries()["expressiveness"](spark, SMALL).collect()
     assert {r["label"]: r["edges"] for r in own}["LIVES_IN"] == spark.read.parquet(f"{SMALL}/customer.parquet").count()
     assert {r["language"]: r["combinations"] for r in own} == {"standard": 28, "algebra, printed": 1960, "algebra, all": 2560} and len(own) == 18
+
+
+def test_good_copies_are_slices_of_their_groups(spark, tmp_path, monkeypatch):
+    texts = ["a" if k % 3 else "b" for k in range(30)] + [None, "c", None]
+    labels = [(k, k % 5 != 0, 0) for k in range(0, 33, 2)]
+    text_tables(spark, tmp_path, texts, labels=[(d, int(q), t) for d, q, t in labels])
+    quality = {d: int(q) for d, q, _ in labels}
+    monkeypatch.setattr("pathframe.operators.recursion.written", None)  # a recursion would write its rounds
+    want = set()
+    for t in set(texts):
+        own = [k for k, x in enumerate(texts) if x == t]
+        for i, a in enumerate(own):
+            want |= {("-".join(str((10 << 48) + x) for x in own[i : j + 1]), "-".join(str((116 << 48) + x) for x in own[i:j]), j - i) for j in range(i + 1, len(own)) if quality.get(a) == 1 and quality.get(own[j]) != 0}
+    rows = catalogue.queries()["copy_chain_quality_unbounded"](spark, str(tmp_path)).collect()
+    assert {(r["nodes_txt"], r["edges_txt"], r["len"]) for r in rows} == want and len(rows) == len(want)
+    assert all(r["nodes_txt"].startswith(str(r["src"])) and r["nodes_txt"].endswith(str(r["dst"])) for r in rows)
