@@ -75,3 +75,11 @@ def test_any_shortest_is_the_first_of_all_shortest(spark):
     g = catalog.sample(spark)
     text = "ANY SHORTEST WALK (x)-[(KNOWS|LIKES|HAS_CREATOR)+]->(y)"
     assert rows(run(plan_of(text), g)) == rows(run(plan_of(text), g, counters=Counters()))
+
+
+def test_steps_reach_tasks_without_a_shuffle(spark):
+    steps = steps_of(spark, [(1, 2), (2, 3), (3, 1)])
+    for found in (steps.recurse("shortest"), steps.recurse("walk", keep=("k_shortest", 1))):
+        plan = found.df._jdf.queryExecution().optimizedPlan().toString()
+        assert "Repartition" not in plan and "MapInArrow" in plan  # a copy of the steps for each task was on disk before
+        assert len(rows(found)) == 9
