@@ -5,7 +5,7 @@ import random
 import pyarrow as pa
 from pyspark.sql import functions as F
 
-from test_whole import relay_table
+from test_whole import far, relay_table
 from pathframe.operators import recursion, search
 from pathframe.operators.pathset import Facts, PathSet
 from pathframe.operators.recursion import Log
@@ -83,3 +83,20 @@ def test_steps_reach_tasks_without_a_shuffle(spark):
         plan = found.df._jdf.queryExecution().optimizedPlan().toString()
         assert "Repartition" not in plan and "MapInArrow" in plan  # a copy of the steps for each task was on disk before
         assert len(rows(found)) == 9
+
+
+def test_closure_is_searched_without_rounds(spark, monkeypatch):
+    rng = random.Random(7)
+    ring = {(k, (k + 1) % 90) for k in range(90)} | {(100, 0), (101, 100), (7, 110), (110, 111), (101, 111), (120, 120), (None, 101), (111, None)}
+    line = {(k, k + 1) for k in range(200, 280)} | {(300 + rng.randrange(25), 300 + rng.randrange(25)) for _ in range(30)}
+    df = spark.createDataFrame(sorted(ring | line, key=str), "src long, dst long")
+    wrote, real = [], recursion.written
+    monkeypatch.setattr(recursion, "written", lambda *a, **k: wrote.append(1) or real(*a, **k))
+    want = set(far({e for e in ring | line if e[0] is not None})) | {(None, b) for a, b in far(ring) if a == 101} | {(None, 101)}
+    for part, firsts, lasts, pairs in ((64, 64, 1024, 1 << 20), (1, 2, 3, 50)):
+        for name, k in (("PART", part), ("FIRSTS", firsts), ("LASTS", lasts), ("PAIRS", pairs)):
+            monkeypatch.setattr(search, name, k)
+        wrote.clear()
+        got = [tuple(r) for r in recursion.closure(df).collect()]
+        assert set(got) == want and len(got) == len(want)
+        assert len(wrote) == 2  # the steps and the parts; a table for each round before
